@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .decision_list import op7_quality_rules
+from .decontaminate import OP4_SQL, op4_decontamination
 from .html_text import op10_html_text
 from .packing import op2_packing
 from .quality_knn import op1_quality_classifier
@@ -12,9 +13,10 @@ from .url_filter import OP6_SQL, op6_url_filter
 QUERIES = {
     "op1_quality_classifier": op1_quality_classifier,
     "op2_packing": op2_packing,
+    "op4_decontamination": op4_decontamination,
     "op6_url_filter": op6_url_filter,
     "op7_quality_rules": op7_quality_rules,
     "op9_token_counts": op9_token_counts,
     "op10_html_text": op10_html_text,
 }
-ORACLE_SQL = {"op6_url_filter": OP6_SQL}
+ORACLE_SQL = {"op4_decontamination": OP4_SQL, "op6_url_filter": OP6_SQL}
