@@ -8,6 +8,7 @@ from .html_text import op10_html_text
 from .minhash import OP3_SQL, op3_minhash_dedup
 from .packing import op2_packing
 from .quality_knn import op1_quality_classifier
+from .suffix_dedup import op5_suffix_dedup
 from .token_counts import op9_token_counts
 from .url_filter import OP6_SQL, op6_url_filter
 
@@ -16,6 +17,7 @@ QUERIES = {
     "op2_packing": op2_packing,
     "op3_minhash_dedup": op3_minhash_dedup,
     "op4_decontamination": op4_decontamination,
+    "op5_suffix_dedup": op5_suffix_dedup,
     "op6_url_filter": op6_url_filter,
     "op7_quality_rules": op7_quality_rules,
     "op9_token_counts": op9_token_counts,
