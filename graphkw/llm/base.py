@@ -31,6 +31,8 @@ class Stage:
         self.spark = df.sparkSession
         self.path = f"{shared_dir(self.spark)}/{label}-{uuid.uuid4().hex}"
         df.write.parquet(self.path)
+        del df
+        self.spark.sparkContext._jvm.System.gc()  # lets Spark delete the shuffle files of the finished job
 
     @property
     def df(self) -> DataFrame:

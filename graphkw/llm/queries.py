@@ -5,6 +5,7 @@ from __future__ import annotations
 from .decision_list import op7_quality_rules
 from .decontaminate import OP4_SQL, op4_decontamination
 from .html_text import op10_html_text
+from .line_dedup import op8_line_dedup
 from .minhash import OP3_SQL, op3_minhash_dedup
 from .packing import op2_packing
 from .quality_knn import op1_quality_classifier
@@ -20,6 +21,7 @@ QUERIES = {
     "op5_suffix_dedup": op5_suffix_dedup,
     "op6_url_filter": op6_url_filter,
     "op7_quality_rules": op7_quality_rules,
+    "op8_line_dedup": op8_line_dedup,
     "op9_token_counts": op9_token_counts,
     "op10_html_text": op10_html_text,
 }
