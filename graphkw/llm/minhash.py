@@ -168,9 +168,9 @@ def near_duplicates(docs: DataFrame, size: int, num: int, den: int, block: int =
 def drop_near_duplicates(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100) -> DataFrame:
     """Of each group the document with the least id, all columns unchanged."""
     found = near_duplicates(docs, size, num, den)
-    gone = found.filter("n_shingles > 0 AND doc_id <> component_id").select(F.col("doc_id").alias("gone_doc"), F.col("tk").alias("gone_tk")).distinct()
+    gone = found.filter("n_shingles > 0 AND doc_id <> component_id").select(F.col("doc_id").alias("_gk_doc"), F.col("tk").alias("_gk_gone")).distinct()
     keyed = docs.withColumn("_gk_tk", F.xxhash64(text_of()))
-    return keyed.join(gone, (F.col("_gk_tk") == F.col("gone_tk")) & (docs["doc_id"] == F.col("gone_doc")), "left_anti").drop("_gk_tk")
+    return keyed.join(gone, (F.col("_gk_tk") == F.col("_gk_gone")) & (docs["doc_id"] == F.col("_gk_doc")), "left_anti").drop("_gk_tk")
 
 
 def op3_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
