@@ -135,7 +135,7 @@ _add("op_window_frame_rows", _on("events", lambda t: t.select("event_id", F.coun
 
 
 def _hour():
-    return Window.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-3600 * 10**6, 0)
+    return Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-3600 * 10**6, 0)
 
 
 _add("op_window_frame_range", _on("events", lambda t: t.select("event_id", F.count("*").over(_hour()).alias("n"))), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS n FROM events")

@@ -118,7 +118,7 @@ def journeys(spark: SparkSession, sf_dir: str) -> Graph:
     """Each event points to its user and to the user's next event, farther the longer the pause."""
     events = table(spark, sf_dir, "events")
     following = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    steps = events.select("event_id", "user_id", F.lead("event_id").over(following).alias("next"), (F.unix_micros(F.lead("ts").over(following)) - F.unix_micros("ts")).alias("pause"))
+    steps = events.select("event_id", "user_id", F.lead("event_id").over(following).alias("next"), (F.unix_micros(F.lead("ts").over(following).cast("timestamp")) - F.unix_micros(F.col("ts").cast("timestamp"))).alias("pause"))
     at = vid(EVENT, "event_id")
     edges = _union([edge(steps.filter("next IS NOT NULL"), at, vid(EVENT, "next"), F.lit(1) + F.least(F.lit(4), F.floor(F.col("pause") / (6 * 3600 * 10**6)))), edge(events, at, vid(USER, "user_id"))])
     number = F.regexp_extract("props", '"k": *([0-9]+)', 1)
