@@ -113,7 +113,7 @@ def base_failed() -> Column:
 
 
 @dataclass(frozen=True)
-class Test:
+class Threshold:
     stat: str
     above: bool
     bound: float
@@ -129,7 +129,7 @@ class Test:
 
 @dataclass(frozen=True)
 class Rule:
-    tests: tuple[Test, ...]
+    tests: tuple[Threshold, ...]
     keep: bool
 
     def holds(self, table_: dict[str, np.ndarray]) -> np.ndarray:
@@ -144,12 +144,12 @@ def _gain(p: np.ndarray, n: np.ndarray, p0: int, n0: int) -> np.ndarray:
         return np.where(p > 0, p * (np.log2(p / np.maximum(p + n, 1)) - np.log2(p0 / (p0 + n0))), -np.inf)
 
 
-def _grow(x: dict[str, np.ndarray], y: np.ndarray, most: int) -> list[Test]:
+def _grow(x: dict[str, np.ndarray], y: np.ndarray, most: int) -> list[Threshold]:
     """Adds thresholds while they raise the share of the positive class."""
-    tests: list[Test] = []
+    tests: list[Threshold] = []
     inside = np.ones(len(y), bool)
     while len(tests) < most and (p0 := int(y[inside].sum())) and (n0 := int((~y[inside]).sum())):
-        best: tuple[float, Test] | None = None
+        best: tuple[float, Threshold] | None = None
         for name, values in x.items():
             v, order = values[inside], np.argsort(values[inside], kind="stable")
             s, up = v[order], y[inside][order]
@@ -160,7 +160,7 @@ def _grow(x: dict[str, np.ndarray], y: np.ndarray, most: int) -> list[Test]:
             for above, gain in ((False, _gain(p, n, p0, n0)), (True, _gain(p0 - p, n0 - n, p0, n0))):
                 k = int(np.argmax(gain))
                 if gain[k] > 1e-9 and (best is None or gain[k] > best[0]):
-                    best = (float(gain[k]), Test(name, above, float((s[cut[k]] + s[cut[k] + 1]) / 2)))
+                    best = (float(gain[k]), Threshold(name, above, float((s[cut[k]] + s[cut[k] + 1]) / 2)))
         if not best:
             break
         tests.append(best[1])

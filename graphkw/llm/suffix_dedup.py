@@ -132,7 +132,8 @@ def repeated_windows(data: np.ndarray, starts: np.ndarray, bucket: np.ndarray, l
     """Which windows equal another of their bucket in ``length`` bytes."""
     order, tied = sort_suffixes(data, starts, bucket, length)
     out = np.zeros(len(starts), bool)
-    pairs = np.flatnonzero(tied)
+    b = bucket[order]
+    pairs = np.flatnonzero(tied if length >= 64 else np.concatenate([[False], b[1:] == b[:-1]]))
     view = np.lib.stride_tricks.sliding_window_view(data, length)
     for k in range(0, len(pairs), chunk):
         p = pairs[k : k + chunk]
