@@ -24,6 +24,7 @@ class Task:
     bound: float
     minima: tuple[float, ...]
     force: bool = False
+    wave: bool = True
     micro: int = 1 << 30
 
 

@@ -19,13 +19,14 @@ def pagerank(graph: Graph, damping: float = 0.85, iterations: int = 20) -> DataF
     edges = graph.edges.select("src", "dst")
     vertices = edges.select(F.col("src").alias("vid")).unionByName(edges.select(F.col("dst").alias("vid"))).distinct()
     degree = edges.groupBy("src").agg(F.count("*").alias("degree"))
-    base = Snapshot(vertices.join(degree, vertices["vid"] == degree["src"], "left").select("vid", "degree"))
-    n = base.df.count()
-    held = Snapshot(base.df.select("vid", "degree", F.lit(1.0 / max(1, n)).alias("pr")))
+    base = Snapshot(vertices.join(degree, vertices["vid"] == degree["src"], "left").select("vid", "degree")).df
+    n = base.count()
+    held = Snapshot(base.select("vid", "degree", F.lit(1.0 / max(1, n)).alias("pr")))
     for _ in range(iterations):
-        loose = held.df.filter("degree IS NULL").agg(F.coalesce(F.sum("pr"), F.lit(0.0)).alias("loose"))
-        given = held.df.join(edges, held.df["vid"] == edges["src"]).groupBy("dst").agg(F.sum(F.col("pr") / F.col("degree")).alias("got"))
-        after = base.df.join(given, base.df["vid"] == given["dst"], "left").crossJoin(F.broadcast(loose))
+        now = held.df
+        loose = now.filter("degree IS NULL").agg(F.coalesce(F.sum("pr"), F.lit(0.0)).alias("loose"))
+        given = now.join(edges, F.col("vid") == F.col("src")).groupBy("dst").agg(F.sum(F.col("pr") / F.col("degree")).alias("got"))
+        after = base.join(given, F.col("vid") == F.col("dst"), "left").crossJoin(F.broadcast(loose))
         fresh = Snapshot(after.select("vid", "degree", ((1 - damping) / n + damping * (F.coalesce("got", F.lit(0.0)) + F.col("loose") / n)).alias("pr")))
         held.drop()
         held = fresh

@@ -10,7 +10,7 @@ from __future__ import annotations
 
 import math
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -71,27 +71,38 @@ def _step(n: int, tau: int, k: int, tasks: dict[int, Task]):
         f = Fragment(frag, n, tau, k, edges[["src", "dst", "w", "src_frag", "dst_frag"]].to_numpy().tolist(), by.get("label", ()), (), lower)
         for d, q, v, leaf in by.get("held", ()):
             f.owner.setdefault(v, frag)
-        out = Output()
+        out, back = Output(), Output()
         keep: list[tuple] = [("lower", v, q, d, 0) for (v, q), d in lower.items()]
-        queue = [tuple(x) for x in by.get("pending", ())]
+        queue, answers = [tuple(x) for x in by.get("pending", ())], [tuple(x) for x in by.get("answer", ())]
         demands = [tuple(x[:3]) for x in by.get("demand", ())]
         served = {(v, q): b for v, q, b, _ in by.get("served", ())}
         if task.kind == BACKWARD:
-            f.backward(task, queue, out)
+            # Answers to demands flow back whether or not the wave has ended.
+            if answers:
+                f.backward(replace(task, force=True), answers, back)
+            if task.wave:
+                f.backward(task, queue, out)
+            else:
+                keep += [("pending", *x) for x in queue]
+                out.answers = back.answers
             keep += [("demand", v, q, b, 0) for v, q, b in demands]
             out.served = [(v, q, b) for (v, q), b in served.items()]
         else:
-            f.forward(task, demands, served, out, True)
-            keep += [("pending", *x) for x in queue]
+            f.forward(task, demands, served, back, True)
+            out.answers, out.served, out.to_owners = back.answers, back.served, back.to_owners
+            keep += [("pending", *x) for x in queue] + [("answer", *x) for x in answers]
+        out.pops += back.pops
+        out.refined += back.refined
         rows = keep + [("label", v, q, d, leaf) for (v, q), (d, leaf) in f.label.items() if d < math.inf]
-        rows += [("pending", *x) for x in out.left] + [("served", v, q, b, 0) for v, q, b in out.served]
+        rows += [("pending", *x) for x in out.left] + [("answer", *x) for x in back.left] + [("served", v, q, b, 0) for v, q, b in out.served]
         own = [(t, frag, *map(int, r)) for t, *r in rows]
         own += [("list", frag, r, s, 0, 0) for r, s in out.answers] + [("metric", frag, out.pops, out.refined, len(f.label), 0)]
-        # Messages: "pending" and "demand" rows of other fragments, marked as on the way; each once, the best.
-        best: dict[tuple, tuple] = {}
-        for to, d, q, v, leaf in out.to_copies:
-            best[to, q, v] = min((d, leaf), best.get((to, q, v), (math.inf, 0)))
-        own += [("msg_b", to, d, q, v, leaf) for (to, q, v), (d, leaf) in best.items()]
+        # Messages: rows of other fragments, marked as on the way; each once, the best.
+        for tag, sent in (("msg_b", out.to_copies), ("msg_a", back.to_copies)):
+            best: dict[tuple, tuple] = {}
+            for to, d, q, v, leaf in sent:
+                best[to, q, v] = min((d, leaf), best.get((to, q, v), (math.inf, 0)))
+            own += [(tag, to, d, q, v, leaf) for (to, q, v), (d, leaf) in best.items()]
         own += [("msg_d", to, v, q, b, 0) for to, v, q, b in out.to_owners]
         return pd.DataFrame(own, columns=["tag", "frag", "a", "b", "c", "d"])
 
@@ -126,20 +137,20 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
     known = dict.fromkeys(range(m), seed)
     quiet_forward = False
     for step in range(1, max_steps + 1):
-        buffers = {(r["frag"], r["tag"]): r for r in held.df.filter("tag IN ('pending', 'demand')").groupBy("frag", "tag").agg(F.count("*").alias("n"), F.sum("a").alias("sa"), F.sum("c").alias("sc")).collect()}
+        buffers = {(r["frag"], r["tag"]): r for r in held.df.filter("tag IN ('pending', 'answer', 'demand')").groupBy("frag", "tag").agg(F.count("*").alias("n"), F.sum("a").alias("sa"), F.sum("c").alias("sc")).collect()}
         minima = [math.inf] * n
         for r in held.df.filter("tag = 'pending'").groupBy("b").agg(F.min("a").alias("d")).collect():
             minima[r["b"]] = r["d"]
-        s = min([board.bound, seed, *known.values()]) if exchange else seed
         final = sum(minima) > board.bound or min(minima) > min(query.tau, board.bound)
         tasks: dict[int, Task] = {}
         for frag in range(m):
-            b, f = buffers.get((frag, "pending")), buffers.get((frag, "demand"))
+            parts = [x for x in (None if final else buffers.get((frag, "pending")), buffers.get((frag, "answer"))) if x]
+            n_back, d_back, f = sum(x["n"] for x in parts), sum(x["sa"] for x in parts), buffers.get((frag, "demand"))
             bound_i = min(known[frag], board.local[frag])
-            sb = math.inf if final or not b else b["n"] and (backward_budget(0, min(bound_i, query.tau), query.tau) if bound_i == math.inf else backward_budget(b["sa"] / b["n"], bound_i, query.tau))
+            sb = backward_budget(d_back / n_back, bound_i, query.tau) if n_back else math.inf
             sf = forward_budget(f["sc"] / f["n"], query.tau) if f else math.inf
             kind = choose(sb, sf, step)
-            tasks[frag] = Task(kind, bound_i, tuple(minima), force=not exchange and step > 1)
+            tasks[frag] = Task(kind, bound_i, tuple(minima), force=not exchange and step > 1, wave=not final)
         if all(t.kind == IDLE for t in tasks.values()):
             if quiet_forward:
                 break
@@ -151,7 +162,7 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
         moved = edges.groupBy("frag").cogroup(held.df.groupBy("frag")).applyInPandas(_step(n, query.tau, query.k, tasks), ROWS)
         after = Snapshot(moved)
         rows = after.df
-        sent = {r["tag"]: r["n"] for r in rows.filter("tag IN ('msg_b', 'msg_d')").groupBy("tag").agg(F.count("*").alias("n")).collect()}
+        sent = {r["tag"]: r["n"] for r in rows.filter("tag IN ('msg_b', 'msg_a', 'msg_d')").groupBy("tag").agg(F.count("*").alias("n")).collect()}
         reports = rows.filter("tag IN ('list', 'metric')").collect()
         lists: dict[int, list[tuple[int, int]]] = {}
         pops = dict.fromkeys(range(m), 0)
@@ -166,7 +177,7 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
         if exchange:
             for frag in board.lagging():
                 known[frag] = min(known[frag], board.push(frag))
-        n_b, n_d = sent.get("msg_b", 0), sent.get("msg_d", 0)
+        n_b, n_d = sent.get("msg_b", 0) + sent.get("msg_a", 0), sent.get("msg_d", 0)
         if n_b or n_d or any(t.kind == BACKWARD for t in tasks.values()):
             quiet_forward = quiet_forward and not (n_b or n_d)
         run.messages += n_b + n_d
@@ -174,7 +185,7 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
         run.pops += sum(pops.values())
         run.bounds.append(board.bound)
         run.steps.append({"step": step, "tasks": {f: t.kind for f, t in tasks.items()}, "pops": pops, "msg_b": n_b, "msg_d": n_d, "bound": board.bound})
-        nxt = rows.filter("tag NOT IN ('list', 'metric')").select(F.when(F.col("tag") == "msg_b", "pending").when(F.col("tag") == "msg_d", "demand").otherwise(F.col("tag")).alias("tag"), "frag", "a", "b", "c", "d")
+        nxt = rows.filter("tag NOT IN ('list', 'metric')").select(F.when(F.col("tag") == "msg_b", "pending").when(F.col("tag") == "msg_a", "answer").when(F.col("tag") == "msg_d", "demand").otherwise(F.col("tag")).alias("tag"), "frag", "a", "b", "c", "d")
         fresh = Snapshot(nxt)
         after.drop()
         held.drop()
