@@ -16,11 +16,12 @@ def match_tree(graph: Graph, answers: DataFrame, labels: DataFrame, query: DataF
     leads to the same leaf. Paths have at most ``longest`` edges; rows: answers times keywords times length.
     """
     lab = labels.select("qid", "kid", "vid", distance(F.col("p")).alias("d"), leaf(F.col("p")).alias("leaf"))
-    at = answers.select("qid", "root").join(lab, (answers["qid"] == lab["qid"]) & (answers["root"] == lab["vid"])).select(lab["qid"], "kid", "root", "vid", "d", "leaf")
+    roots = answers.select(F.col("qid").alias("q0"), "root")
+    at = roots.join(lab, (F.col("q0") == F.col("qid")) & (F.col("root") == F.col("vid"))).select("qid", "kid", "root", "vid", "d", "leaf")
     nxt = lab.select(F.col("qid").alias("q2"), F.col("kid").alias("k2"), F.col("vid").alias("v2"), F.col("d").alias("d2"), F.col("leaf").alias("l2"))
     parts = []
     for pos in range(longest):
-        step = at.filter("d > 0").join(graph.edges, F.col("vid") == F.col("src"))
+        step = at.filter("d > 0").join(graph.edges.select("src", "dst", "w"), F.col("vid") == F.col("src"))
         step = step.join(nxt, (F.col("qid") == F.col("q2")) & (F.col("kid") == F.col("k2")) & (F.col("dst") == F.col("v2")) & (F.col("d") - F.col("w") == F.col("d2")) & (F.col("leaf") == F.col("l2")))
         best = step.groupBy("qid", "kid", "root", "vid", "leaf").agg(F.min(F.struct("dst", "w", "d2")).alias("e")).select("qid", "kid", "root", "vid", "leaf", "e.*")
         parts.append(best.select("qid", "kid", "root", F.lit(pos).cast("int").alias("pos"), F.col("vid").alias("src"), "dst", "w"))
