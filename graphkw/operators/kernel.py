@@ -159,6 +159,7 @@ class Fragment:
                 todo[v, q] = max(b, todo.get((v, q), -1))
         sent: dict[tuple[int, int], int] = {}
         changed: dict = {}
+        asked = {(v, q) for v, q, _ in demands}
         for (v, q), budget in sorted(todo.items(), key=lambda x: (-x[1], x[0])):
             served[v, q] = budget
             dist, heap, best = {v: 0}, [(0, v)], self.label.get((v, q), (math.inf, 0))
@@ -180,7 +181,8 @@ class Fragment:
                     if d + w <= budget and d + w < dist.get(y, math.inf):
                         dist[y] = d + w
                         heapq.heappush(heap, (d + w, y))
-            if best[0] < math.inf and self._improve(v, q, best[0], best[1]):
+            # Whoever asked may hold an older label, so a demand is answered even by what was known.
+            if best[0] < math.inf and (self._improve(v, q, best[0], best[1]) or (v, q) in asked):
                 changed[v, q] = best
                 self._offer(top, v, out)
         out.to_owners += [(self.owner[x], x, q, b) for (x, q), b in sent.items() if b > served.get((x, q), -1)]
