@@ -12,6 +12,7 @@ from graphkw.functions.workload import draw_keywords, generate
 from graphkw.operators import bounds, partition, sketch, tree, waves
 from graphkw.operators.reach import spread
 from graphkw.plans.baseline import all_pairs, sequential_answers
+from graphkw.plans.experiments import trajectory
 from graphkw.plans.program import run_program
 from graphkw.plans.search import Search, keyword_distances, search, search_batch
 from graphkw.schema import KeywordQuery, query_frame
@@ -119,7 +120,11 @@ def _program(variant: str):
 for _v in ("two_phase", "sketch", "exchange", "preemptive", "single_task"):
     _add(f"frag_topk_{_v}", *_program(_v))
 _add("kw_topk_sequential", lambda s, d: sequential_answers(build_graph(s, d, "g1"), KeywordQuery(Q4, 3, 10)), f"SELECT qid, rank, root, score FROM ({topk_sql('g1', Q4, 3, 10)})")
-_add("kw_all_pairs", lambda s, d: all_pairs(build_graph(s, f"{d}/../sf0.001", "g6c"), 6))
+_add(
+    "kw_all_pairs",
+    lambda s, d: all_pairs(build_graph(s, d, "g6c"), 6),
+    f"WITH RECURSIVE {graph_ctes('g6c')}, w(dst, src, d) AS (SELECT DISTINCT dst, dst, CAST(0 AS BIGINT) FROM edges UNION SELECT w.dst, e.src, w.d + e.w FROM w JOIN edges e ON e.dst = w.src WHERE w.d + e.w <= 6) SELECT src, dst, min(d) AS d FROM w GROUP BY src, dst",
+)
 _add("kw_origins", lambda s, d: build_graph(s, d, "g1").postings.filter(F.col("kw").isin(*Q4)), f"WITH {graph_ctes('g1')} SELECT kw, vid FROM postings WHERE kw IN {Q4}")
 _add("kw_distances", lambda s, d: keyword_distances(build_graph(s, d, "g1"), KeywordQuery(Q4, 3)), f"{_walk('g1', Q4, 3)} SELECT kw, vid, d FROM dist JOIN q USING (kid)")
 
@@ -413,6 +418,7 @@ def _costs(s: SparkSession, d: str) -> DataFrame:
 
 
 _add("cost_messages_by_variant", _costs)
+_add("exp_trajectory", lambda s, d: trajectory(s, build_graph(s, d, "g1r"), KeywordQuery(Q4, 3, 10), "single_task", 2))
 _add(
     "cost_visited_by_step",
     lambda s, d: _labels(s, d)[0].groupBy(distance(F.col("p")).alias("d")).agg(F.count_distinct("vid").alias("visited"), F.count("*").alias("labels")),
