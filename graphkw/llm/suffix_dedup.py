@@ -289,6 +289,7 @@ def repeated_runs(docs: DataFrame, length: int = 400, gram: int = 256, block_byt
     """(doc_id, tk, lo, hi): runs of windows, by their first bytes, that also start elsewhere."""
     seen = Stage(context_rows(docs, length, gram), "contexts")
     grams = seen.df.groupBy("g").agg(F.count("*").alias("n"), F.min("c").alias("least"), F.max("c").alias("most")).filter("n > 1")
+    grams = Stage(grams, "grams").df  # read back, both sides of the join are dealt out anew and a very common anchor can be split
     many = Stage(seen.df.join(grams, "g").select("g", "c", "doc_id", "tk", "a", "lo", "hi", (F.col("least") == F.col("most")).alias("settled")), "repeats")
     seen.drop()
     mixed = many.df.filter("NOT settled")
