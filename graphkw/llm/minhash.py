@@ -144,7 +144,8 @@ def near_duplicates(docs: DataFrame, size: int, num: int, den: int, block: int =
     )
     classes = Stage(classes, "classes").df
     member = classes.select("id", F.explode("bands").alias("band"))
-    star = member.join(member.groupBy("band").agg(F.min("id").alias("centre"), F.count("*").alias("c")).filter("c > 1"), "band")
+    centres = member.groupBy("band").agg(F.min("id").alias("centre"), F.count("*").alias("c")).filter("c > 1")
+    star = member.join(Stage(centres, "centres").df, "band")  # read back, so that a very common band can be split
     family = components(star.filter("id <> centre").select("id", "centre"), "families")
     family = Stage(family.unionByName(family.select(F.col("root").alias("node"), "root").distinct()), "family").df
 
