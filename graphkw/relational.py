@@ -46,8 +46,8 @@ _add(
 
 def _join(left: str, right: str, on: str, columns: list[str], how: str = "inner", hint: str = ""):
     def run(s: SparkSession, d: str) -> DataFrame:
-        r = table(s, d, right)
-        return table(s, d, left).join(r.hint(hint) if hint else r, F.expr(on), how).select(*columns)
+        r = table(s, d, right).alias(right)
+        return table(s, d, left).alias(left).join(r.hint(hint) if hint else r, F.expr(on), how).select(*columns)
 
     kind = {"inner": "JOIN", "left": "LEFT JOIN", "full": "FULL JOIN", "left_semi": "SEMI JOIN", "left_anti": "ANTI JOIN"}[how]
     return run, f"SELECT {', '.join(columns)} FROM {left} {kind} {right} ON {on}"
@@ -109,7 +109,7 @@ _SETS = "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM {} GROUP BY G
 _add("op_grouping_sets", _on("orders", lambda t: t.sparkSession.sql(_SETS.format("{t}"), t=t)), _SETS.format("orders"))
 _add(
     "op_pivot",
-    _on("orders", lambda t: t.groupBy("o_custkey").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count("*")).select("o_custkey", *(F.coalesce(c, F.lit(0)).alias(c.lower()) for c in "FOP"))),
+    _on("orders", lambda t: t.groupBy("o_custkey").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count(F.lit(1))).select("o_custkey", *(F.coalesce(c, F.lit(0)).alias(c.lower()) for c in "FOP"))),
     "SELECT o_custkey, count(*) FILTER (o_orderstatus = 'F') AS f, count(*) FILTER (o_orderstatus = 'O') AS o, count(*) FILTER (o_orderstatus = 'P') AS p FROM orders GROUP BY o_custkey HAVING count(*) > 0",
 )
 _add(
