@@ -271,6 +271,33 @@ def test_line_dedup_against_brute_force(docs):
     assert all(sims_got[i, k] == (sims[n] if n else None) for i, k, n in places)
 
 
+def _joined(docs, pairs):
+    """Which of the pairs of lines lost its second line."""
+    got = {r.doc_id: r.n_removed for r in dedup_lines(docs([(i, line) for i, line in enumerate(x for p in pairs for x in p)])).collect()}
+    assert not any(got[2 * k] for k in range(len(pairs)))
+    return [got[2 * k + 1] == 1 for k in range(len(pairs))]
+
+
+def test_line_dedup_finds_lines_by_edit_similarity_alone(docs):
+    draw = random.Random(11)
+    word = lambda: "".join(draw.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(draw.randint(3, 9)))
+    swapped, typed = [], []
+    for n in (10, 12, 20, 30, 50, 100, 200):
+        for _ in range(20):
+            a = [word() for _ in range(n)]
+            b = list(a)
+            b[draw.randrange(n)] = word()
+            swapped.append((" ".join(a), " ".join(b)))
+            c = list(" ".join(a))
+            for k in draw.sample(range(len(c)), len(c) // 15):
+                c[k] = draw.choice("bcdfg")
+            typed.append((" ".join(a), "".join(c)))
+    for pairs, least in ((swapped, 0.99), (typed, 0.95)):
+        near = [_edits(_normal(a), _normal(b)) <= int(0.1 * max(len(_normal(a)), len(_normal(b))) + 1e-9) and len(min(a, b, key=len)) >= 50 for a, b in pairs]
+        got = _joined(docs, pairs)
+        assert sum(near) > 100 and sum(g and n for g, n in zip(got, near, strict=True)) >= least * sum(near)
+
+
 def test_line_dedup_odd_rows(docs):
     out = dedup_lines(docs(ODD).withColumn("n_lines", F.lit("clash")))
     rows = out.collect()
