@@ -298,6 +298,33 @@ def test_line_dedup_finds_lines_by_edit_similarity_alone(docs):
         assert sum(near) > 100 and sum(g and n for g, n in zip(got, near, strict=True)) >= least * sum(near)
 
 
+def test_line_dedup_short_and_long_lines(docs):
+    draw = random.Random(12)
+    pairs, want = [("the quick brown foxes jumped over a gate", "the quick brown foxes jumqed over a gate"), ("abcdefghij", "abcdefghi"), ("abcdefghk", "abcdefghl")], [True, True, False]
+    for n in [*range(11, 66)] * 2:
+        a = "".join(draw.choice("abcdefghijkl ") for _ in range(n)).strip() + "m" * 3
+        for extra in (0, 1):
+            b, left = list(a), int(0.1 * len(a) + 1e-9) + extra
+            for _ in range(left):
+                k, kind = draw.randrange(len(b)), draw.randrange(3)
+                b[k : k + (kind > 0)] = [draw.choice("xyz")] if kind < 2 else []
+            b = "".join(b).strip()
+            if len(max(a, b, key=len)) <= 59:
+                pairs.append((f"{a}", b)) if extra == 0 else pairs.append((a[::-1], b[::-1]))
+                want.append(_edits(*pairs[-1]) <= int(0.1 * max(map(len, pairs[-1])) + 1e-9))
+    words = ["".join(draw.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(6)) for _ in range(300)]
+    scattered, cut = list(words), list(words)
+    for k in range(5, 300, 30):
+        scattered[k] = "qq"  # many shingles change, few characters
+    cut[:20] = ["z" * 40] * 20  # few shingles change, many characters
+    pairs += [(" ".join(words), " ".join(scattered))]
+    want += [True]
+    assert _joined(docs, pairs) == want and sum(want) > 80
+    assert _joined(docs, [(" ".join(words), " ".join(cut))]) == [False]
+    many = [f"{k:05x}".translate(str.maketrans("0123456789", "ghijklmnop")) for k in range(17_000)]
+    assert _joined(docs, [(" ".join(many), " ".join([*many[:-1], "changed"]))]) == [True]
+
+
 def test_line_dedup_odd_rows(docs):
     out = dedup_lines(docs(ODD).withColumn("n_lines", F.lit("clash")))
     rows = out.collect()
