@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -133,25 +135,37 @@ def journeys(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph(vertices, merge_edges(edges), postings)
 
 
-def vectors(spark: SparkSession, sf_dir: str, neighbours: int = 5, tables: int = 12, bits: int = 4) -> Graph:
-    """Each vector points to its nearest by cosine among those that share a signature of random planes.
+def _nearest(neighbours: int):
+    def run(left, right):
+        """The pairs of two blocks that may be among the nearest; ties with the last one stay."""
+        if left.empty or right.empty:
+            return pd.DataFrame({"vec_id": [], "to": [], "c": []})
+        x, y = left["vec_id"].to_numpy(), right["vec_id"].to_numpy()
+        c = np.round(np.stack(left["e"].to_numpy()) @ np.stack(right["e"].to_numpy()).T, 12)
+        c[x[:, None] == y[None, :]] = -np.inf
+        k = min(neighbours, c.shape[1])
+        i, j = np.nonzero((c >= np.partition(c, -k, axis=1)[:, -k, None]) & (c > -np.inf))
+        return pd.DataFrame({"vec_id": x[i], "to": y[j], "c": c[i, j]})
 
-    A signature is ``bits`` signs of coordinate sums chosen by hash; ``tables`` of them are tried, so that
-    no cross join is needed. Weights grow with one minus the cosine.
+    return run
+
+
+def vectors(spark: SparkSession, sf_dir: str, neighbours: int = 5, block: int = 2000) -> Graph:
+    """Each vector points to its nearest by cosine (rounded to 12 digits; of equal ones the least id).
+
+    Every block of vectors meets every block in one matrix product, so the answer is exact and no task holds
+    more than two blocks. Weights grow with one minus the cosine.
     """
     v = table(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e"), F.lower(F.concat(F.lit("label_"), F.col("label").cast("string"))).alias("kw"))
     norm = lambda e: F.sqrt(F.aggregate(e, F.lit(0.0), lambda a, x: a + x * x))
     v = v.withColumn("e", F.transform("e", lambda x: x / norm(F.col("e"))))
-
-    def plane(i: int) -> Column:
-        signed = F.transform("e", lambda x, j: F.when(F.pmod(F.xxhash64(F.lit(i), j), F.lit(2)) == 0, x).otherwise(-x))
-        return F.when(F.aggregate(signed, F.lit(0.0), lambda a, x: a + x) >= 0, 1).otherwise(0)
-
-    keys = F.array(*(sum((plane(t * bits + b) * (1 << b) for b in range(bits)), F.lit(t << bits)) for t in range(tables)))
-    keyed = v.select("vec_id", "e", F.explode(keys).alias("key"))
-    pairs = keyed.join(keyed.select(F.col("vec_id").alias("to"), F.col("e").alias("f"), "key"), "key").filter("vec_id <> to")
-    cosine = F.aggregate(F.zip_with("e", "f", lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x)
-    scored = pairs.select("vec_id", "to", cosine.alias("c")).distinct()
+    blocks = max(1, -(-v.count() // block))
+    dealt = v.filter("vec_id IS NOT NULL AND e IS NOT NULL").select("vec_id", "e", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).alias("own"))
+    other = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("other")
+    met = dealt.select("own", other, "vec_id", "e")
+    left = met.select(F.col("own").alias("i"), F.col("other").cast("long").alias("j"), "vec_id", "e")
+    right = met.select(F.col("other").cast("long").alias("i"), F.col("own").alias("j"), "vec_id", "e")
+    scored = left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInPandas(_nearest(neighbours), "vec_id long, to long, c double")
     rank = F.row_number().over(Window.partitionBy("vec_id").orderBy(F.desc("c"), "to"))
     near = scored.withColumn("r", rank).filter(F.col("r") <= neighbours)
     edges = edge(near, vid(VECTOR, "vec_id"), vid(VECTOR, "to"), F.lit(1) + F.greatest(F.lit(0), F.floor(10 * (1 - F.col("c")))))
