@@ -167,7 +167,10 @@ def near_duplicates(docs: DataFrame, size: int, num: int, den: int, block: int =
 
 
 def drop_near_duplicates(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100) -> DataFrame:
-    """Of each group the document with the least id, all columns unchanged."""
+    """Of each group the document with the least id, all columns unchanged.
+
+    Rows that repeat that id and its text all stay, and so do all rows with a null doc_id, copies or not.
+    """
     found = near_duplicates(docs, size, num, den)
     gone = found.filter("n_shingles > 0 AND doc_id <> component_id").select(F.col("doc_id").alias("_gk_doc"), F.col("tk").alias("_gk_gone")).distinct()
     keyed = docs.withColumn("_gk_tk", F.xxhash64(text_of()))
