@@ -230,7 +230,7 @@ def _edits(a, b):
 
 
 def _normal(line):
-    return line.translate(str.maketrans(dict(zip(line_dedup._FROM, [*line_dedup._TO, *[None] * (len(line_dedup._FROM) - len(line_dedup._TO))], strict=True)))).strip(" ")
+    return "".join("0" if c in "123456789" else c for c in line.lower() if not ("!" <= c <= "~") or c.isalnum()).strip(" ")
 
 
 def test_line_dedup_against_brute_force(docs):
