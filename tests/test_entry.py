@@ -1,4 +1,5 @@
 import os
+import shutil
 import subprocess
 import sys
 
@@ -30,10 +31,14 @@ def test_entry_answers(spark):
     assert [(r.root % 10**12, r.score) for r in rows[:4]] == [(328, 5), (611, 5), (20, 6), (29, 6)]
 
 
-def test_engine_stands_without_the_corpus_operators(tmp_path):
-    here = os.path.dirname(entry.__file__)
-    for part in ("graphkw", "__spark_entry__.py"):
-        os.symlink(f"{here}/{part}", tmp_path / part) if part.endswith(".py") else subprocess.run(["cp", "-r", f"{here}/{part}", tmp_path], check=True)
-    subprocess.run(["rm", "-r", tmp_path / "graphkw/llm"], check=True)
-    code = "import sys; sys.path.insert(0, '.'); import importlib.util as u; s = u.spec_from_file_location('e', '__spark_entry__.py'); m = u.module_from_spec(s); s.loader.exec_module(m); q = m.queries(); assert 'pipeline' not in q and 'op1_quality_classifier' not in q and len(q) > 100 and set(m.oracle_sql()) <= set(q)"
-    subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True)
+@pytest.mark.parametrize("pipeline_on_path", [False, True])
+def test_engine_stands_without_the_corpus_operators(tmp_path, pipeline_on_path):
+    here = os.path.dirname(os.path.abspath(entry.__file__))
+    shutil.copytree(f"{here}/graphkw", tmp_path / "graphkw", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    shutil.copy(f"{here}/__spark_entry__.py", tmp_path)
+    if pipeline_on_path and os.path.exists(f"{here}/corpus_pipeline.py"):
+        shutil.copy(f"{here}/corpus_pipeline.py", tmp_path)
+    code = "import sys; sys.path.insert(0, '.'); import __spark_entry__ as m; q = m.queries(); assert 'pipeline' not in q and 'op1_quality_classifier' not in q and len(q) > 100 and set(m.oracle_sql()) <= set(q)"
+    env = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
+    for path in ({}, {"PYTHONPATH": str(tmp_path)}):
+        subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, env=env | path)
