@@ -12,12 +12,15 @@ SEED = "rks"
 
 
 def draw_keywords(graph: Graph, count: int, size: int, seed: str = SEED) -> DataFrame:
-    """(qid, kid, kw): for each query the first ``size`` keywords by the md5 of seed, query and keyword."""
-    spark = graph.postings.sparkSession
+    """(qid, kid, kw): for each query the first ``size`` keywords by the md5 of seed, query and keyword.
+
+    A row per keyword holds the numbers of all queries; every partition keeps its ``size`` best of each query
+    (the filter by a literal rank), so no more than that is moved.
+    """
     pool = graph.postings.select("kw").distinct()
-    drawn = pool.crossJoin(F.broadcast(spark.range(count).select(F.col("id").cast("int").alias("qid"))))
+    drawn = pool.select(F.explode(F.sequence(F.lit(0), F.lit(count - 1))).alias("qid"), "kw")
     order = Window.partitionBy("qid").orderBy(F.md5(F.concat(F.lit(seed), F.col("qid").cast("string"), F.lit("|"), F.col("kw"))), "kw")
-    return drawn.withColumn("kid", F.row_number().over(order) - 1).filter(F.col("kid") < size).select("qid", F.col("kid").cast("int").alias("kid"), "kw")
+    return drawn.withColumn("kid", F.row_number().over(order)).filter(F.col("kid") <= size).select("qid", (F.col("kid") - 1).cast("int").alias("kid"), "kw")
 
 
 def generate(graph: Graph, count: int, size: int, tau: int, k: int, seed: str = SEED) -> list[KeywordQuery]:

@@ -59,6 +59,28 @@ def matches(labels: DataFrame, query: DataFrame) -> DataFrame:
     return found.join(F.broadcast(sizes), "qid").withColumn("complete", F.col("found") == F.col("n"))
 
 
+#: In-edges of one vertex that a task may meet; vertices with more are split by their edges' sources.
+HUB = 1_000_000
+
+
+def hubs(edges: DataFrame, most: int = HUB) -> DataFrame:
+    """(vid, parts) of the vertices with more than ``most`` edges into them."""
+    return edges.groupBy(F.col("dst").alias("vid")).agg(F.count("*").alias("n")).filter(F.col("n") > most).select("vid", F.ceil(F.col("n") / most).cast("int").alias("parts"))
+
+
+def split_edges(edges: DataFrame, hub: DataFrame) -> DataFrame:
+    """The edges with ``part``: 0, or for edges into hubs one of the hub's parts."""
+    return edges.join(hub, edges["dst"] == hub["vid"], "left").select("src", "dst", "w", F.coalesce(F.pmod(F.xxhash64("src"), F.col("parts")), F.lit(0)).cast("int").alias("part"))
+
+
+def relax_split(frontier: DataFrame, edges: DataFrame, hub: DataFrame, limits: DataFrame) -> DataFrame:
+    """``relax`` over ``split_edges``: a hub's frontier row goes to all its parts."""
+    dealt = frontier.join(hub, "vid", "left").withColumn("part", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1)))
+    reached = dealt.join(edges, (dealt["vid"] == edges["dst"]) & (dealt["part"] == edges["part"]))
+    reached = reached.select("qid", "kid", F.col("src").alias("vid"), (distance(F.col("p")) + F.col("w")).alias("d"), leaf(F.col("p")).alias("leaf"))
+    return reached.join(F.broadcast(limits), "qid").filter("d <= cap").select(*KEY, pack(F.col("d"), F.col("leaf")).alias("p"))
+
+
 def visited_sets(labels: DataFrame, query: DataFrame) -> DataFrame:
     """Sizes of the union, the intersection and the difference of the keywords' visited sets."""
     m = matches(labels, query)

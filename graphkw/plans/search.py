@@ -26,10 +26,13 @@ from graphkw.functions.packing import distance, leaf
 from graphkw.operators import waves
 from graphkw.operators.bounds import top_answers
 from graphkw.schema import FAR, Graph, KeywordQuery, query_frame
-from graphkw.storage import Snapshot
+from graphkw.storage import Bucketed, Snapshot
 
-#: name: (stops the wave by the bound, uses sketch bounds)
-VARIANTS = {"exhaustive": (False, False), "backward_only": (False, False), "two_phase": (True, False), "sketch": (True, True), "exchange": (True, True), "preemptive": (True, True)}
+#: name: (stops the wave by the bound, uses sketch bounds). One global bound is known to all tasks after each round, so
+#: bound exchange and preemption, which are about fragments that don't wait, exist in the fragment program only.
+VARIANTS = {"exhaustive": (False, False), "backward_only": (False, False), "two_phase": (True, False), "sketch": (True, True)}
+#: Least pending distances are taken while a round is written if there are no more of them than this, else by one more aggregate.
+WATCHED = 64
 
 
 @dataclass
@@ -69,6 +72,46 @@ class Search:
         self.score = dict.fromkeys(self.queries, math.inf) | (limits or {})
         self.trace: list[dict] = []
         self.held: Snapshot | None = None
+        self.ks = {q.qid: q.k for q in self.queries.values()}
+        self.tables: list = []
+        self._edges: dict[str, DataFrame] = {}
+        self._hubs: DataFrame | None = None
+
+    # -- the graph, read once ---------------------------------------------------------
+
+    def _held_edges(self, key: str) -> DataFrame:
+        """The edges that can matter, dealt by ``key``: every round joins this table, none reads the sources again."""
+        if key not in self._edges:
+            longest = max(q.tau for q in self.queries.values())
+            made = self._edges["dst"].select("src", "dst", "w") if self._edges else self.graph.edges.filter(F.col("w") <= longest)
+            if key == "dst":
+                plain = Bucketed(made, "dst")
+                self.tables.append(plain)
+                hub = Snapshot(waves.hubs(plain.df), [F.count("*").alias("n")])
+                self.tables.append(hub)
+                if hub.seen["n"]:
+                    self._hubs = hub.df
+                    split = Bucketed(waves.split_edges(plain.df, hub.df), "dst")
+                    self.tables.append(split)
+                    self._edges[key] = split.df
+                else:
+                    self._edges[key] = plain.df
+            else:
+                self.tables.append(Bucketed(made, key))
+                self._edges[key] = self.tables[-1].df
+        return self._edges[key]
+
+    def _relax(self, front: DataFrame, bounded: bool) -> DataFrame:
+        edges = self._held_edges("dst")
+        if self._hubs is None:
+            return waves.relax(front, edges, self._limits(bounded))
+        return waves.relax_split(front, edges, self._hubs, self._limits(bounded))
+
+    def close(self) -> None:
+        """Deletes what the search has written, but for the labels that its answers read."""
+        for t in self.tables:
+            t.drop()
+        self.tables, self._edges, self._hubs = [], {}, None
 
     # -- small tables -----------------------------------------------------------------
 
@@ -76,8 +119,15 @@ class Search:
         rows = [(q.qid, int(min(q.tau, self.score[q.qid] if bounded else FAR))) for q in self.queries.values()]
         return self.spark.createDataFrame(rows, "qid int, cap long")
 
+    def _watch(self) -> list:
+        pairs = [(q.qid, kid) for q in self.queries.values() for kid in range(len(q.keywords))]
+        if len(pairs) > WATCHED:
+            return []
+        open_ = F.col("done").isNull() | (F.col("p") < F.col("done"))
+        return [F.min(F.when((F.col("qid") == qid) & (F.col("kid") == kid) & open_, distance(F.col("p")))).alias(f"m_{qid}_{kid}") for qid, kid in pairs]
+
     def _keep(self, df: DataFrame) -> DataFrame:
-        old, self.held = self.held, Snapshot(df)
+        old, self.held = self.held, Snapshot(df, self._watch())
         if old:
             old.drop()
         return self.held.df
@@ -85,14 +135,19 @@ class Search:
     def _refresh(self, labels: DataFrame) -> None:
         """The k-th best score of each query so far (k rows per query reach the driver)."""
         complete = waves.matches(labels, self.query).filter("complete")
-        for r in top_answers(complete, self.query).filter("rank = 1 OR score IS NOT NULL").groupBy("qid").agg(F.count("*").alias("n"), F.max("score").alias("s")).collect():
+        for r in top_answers(complete, self.ks).groupBy("qid").agg(F.count("*").alias("n"), F.max("score").alias("s")).collect():
             if r["n"] == self.queries[r["qid"]].k:
                 self.score[r["qid"]] = min(self.score[r["qid"]], r["s"])
 
     def _minima(self, labels: DataFrame) -> dict[int, dict[int, float]]:
         m = {q.qid: dict.fromkeys(range(len(q.keywords)), math.inf) for q in self.queries.values()}
-        for r in waves.pending(labels).groupBy("qid", "kid").agg(F.min(distance(F.col("p"))).alias("d")).collect():
-            m[r["qid"]][r["kid"]] = r["d"]
+        seen = self.held.seen
+        if not seen:
+            seen = {f"m_{r['qid']}_{r['kid']}": r["d"] for r in waves.pending(labels).groupBy("qid", "kid").agg(F.min(distance(F.col("p"))).alias("d")).collect()}
+        for name, d in seen.items():
+            if d is not None:
+                qid, kid = name[2:].rsplit("_", 1)
+                m[int(qid)][int(kid)] = d
         return m
 
     # -- phases -----------------------------------------------------------------------
@@ -113,7 +168,7 @@ class Search:
                 return labels, m
             ends = self.spark.createDataFrame([(q, int(min(m[q].values())) + self.delta) for q in sorted(live)], "qid int, upto long")
             front = waves.pending(labels).join(F.broadcast(ends), "qid").filter(distance(F.col("p")) < F.col("upto")).select(*waves.KEY, "p")
-            labels = self._keep(waves.merge(labels, front, waves.relax(front, self.graph.edges, self._limits(bounded))))
+            labels = self._keep(waves.merge(labels, front, self._relax(front, bounded)))
             self.trace.append({"phase": "backward", "live": len(live), "bounds": dict(self.score), "minima": m})
 
     def _demands(self, labels: DataFrame, m: dict[int, dict[int, float]]) -> DataFrame:
@@ -128,39 +183,42 @@ class Search:
         total = grid.groupBy("qid", "vid").agg(F.sum("lb").alias("total"))
         open_ = grid.join(total, ["qid", "vid"]).filter("total <= s AND lb <= tau AND (d IS NULL OR d > m)")
         budget = F.least("tau", F.coalesce("d", F.lit(FAR)), F.col("s") - (F.col("total") - F.col("lb")))
-        return open_.select(*waves.KEY, budget.alias("budget")).filter("budget >= 0 AND budget >= 0")
+        return open_.select(*waves.KEY, budget.alias("budget")).filter("budget >= 0")
 
     def forward(self, labels: DataFrame, m: dict[int, dict[int, float]]) -> DataFrame:
         finals = self.spark.createDataFrame([(q, kid, int(min(FAR, d))) for q, by in m.items() for kid, d in by.items()], "qid int, kid int, m long")
-        demands = Snapshot(self._demands(labels, m).withColumn("done", F.lit(None).cast("long")))
+        unserved = F.col("done").isNull() | (F.col("budget") > F.col("done"))
+        watch = [F.count_if(unserved).alias("open"), F.count("*").alias("n")]
+        demands = Snapshot(self._demands(labels, m).withColumn("done", F.lit(None).cast("long")), watch)
         final = labels.join(F.broadcast(finals), ["qid", "kid"]).filter(distance(F.col("p")) <= F.col("m")).select(*waves.KEY)
-        n_roots = demands.df.count()
-        while n_roots:
-            open_ = demands.df.filter("done IS NULL OR budget > done")
+        n_roots = demands.seen["n"]
+        while demands.seen["open"]:
+            open_ = demands.df.filter(unserved)
             front = open_.join(final, waves.KEY, "left_anti").select(*waves.KEY, "budget")
-            after = Snapshot(waves.merge_demands(demands.df, open_, waves.walk_demands(front, self.graph.edges)))
+            after = Snapshot(waves.merge_demands(demands.df, open_, waves.walk_demands(front, self._held_edges("src"))), watch)
             demands.drop()
             demands = after
             self.trace.append({"phase": "demand", "bounds": dict(self.score)})
-            if demands.df.filter("done IS NULL OR budget > done").isEmpty():
-                break
         if not n_roots:
             return labels
         # Labels flow back over demanded vertices only.
         asked = demands.df.select(*waves.KEY)
+        pending = F.col("done").isNull() | (F.col("p") < F.col("done"))
+        watch = [F.count_if(pending).alias("open")]
         sources = labels.join(asked, waves.KEY, "left_semi").select(*waves.KEY, "p", F.lit(None).cast("long").alias("done"))
-        known = Snapshot(labels.join(asked, waves.KEY, "left_anti").select(*waves.KEY, "p"))
-        back = Snapshot(sources)
-        while True:
+        back = Snapshot(sources, watch)
+        while back.seen["open"]:
             front = waves.pending(back.df).select(*waves.KEY, "p")
-            if front.isEmpty():
-                break
-            found = waves.relax(front, self.graph.edges, self._limits(False)).join(asked, waves.KEY, "left_semi")
-            after = Snapshot(waves.merge(back.df, front, found))
+            found = self._relax(front, False).join(asked, waves.KEY, "left_semi")
+            after = Snapshot(waves.merge(back.df, front, found), watch)
             back.drop()
             back = after
             self.trace.append({"phase": "answer", "bounds": dict(self.score)})
-        return self._keep(known.df.unionByName(back.df.select(*waves.KEY, "p")).withColumn("done", F.lit(None).cast("long")))
+        known = labels.join(asked, waves.KEY, "left_anti").select(*waves.KEY, "p")
+        out = self._keep(known.unionByName(back.df.select(*waves.KEY, "p")).withColumn("done", F.lit(None).cast("long")))
+        back.drop()
+        demands.drop()
+        return out
 
     def run(self) -> Result:
         if self.bounds_known and self.index is not None:
@@ -168,8 +226,9 @@ class Search:
         labels, m = self.backward()
         if self.stops:
             labels = self.forward(labels, m)
+        self.close()
         complete = waves.matches(labels, self.query).filter("complete")
-        return Result(top_answers(complete, self.query), labels, self.query, self.trace)
+        return Result(top_answers(complete, self.ks), labels, self.query, self.trace)
 
 
 def search(graph: Graph, query: KeywordQuery, variant: str = "two_phase", **options) -> Result:
@@ -182,6 +241,8 @@ def search_batch(graph: Graph, queries: Iterable[KeywordQuery], variant: str = "
 
 def keyword_distances(graph: Graph, query: KeywordQuery) -> DataFrame:
     """(kw, vid, d) within tau, without any bound."""
-    labels, _ = Search(graph, [query], "exhaustive").backward()
+    wave = Search(graph, [query], "exhaustive")
+    labels, _ = wave.backward()
+    wave.close()
     q = query_frame(graph.edges.sparkSession, [query])
     return labels.join(F.broadcast(q.select("qid", "kid", "kw")), ["qid", "kid"]).select("kw", "vid", distance(F.col("p")).alias("d"))

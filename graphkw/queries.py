@@ -85,7 +85,7 @@ def _topk(graph: str, keywords, tau: int = 3, k: int = 10, variant: str = "two_p
     def run(s: SparkSession, d: str) -> DataFrame:
         g = build_graph(s, d, graph)
         g = g if directed else g.undirected()
-        options = {"index": sketch.Index.build(g, 4, 2 * tau, iterations=3)} if variant in ("sketch", "exchange", "preemptive") else {}
+        options = {"index": sketch.Index.build(g, 4, 2 * tau, iterations=3)} if variant == "sketch" else {}
         return search(g, KeywordQuery(keywords, tau, k), variant, **options).wide(len(keywords))
 
     return run, topk_sql(graph, keywords, tau, k, directed)
@@ -97,7 +97,7 @@ for _t in (3, 4, 5, 6):
     _add(f"kw_topk_tau{_t}", *_topk("g1u", Q4, _t))
 for _k in (5, 10, 15, 20, 25, 30):
     _add(f"kw_topk_k{_k}", *_topk("g1", Q2, 3, _k))
-for _v in ("two_phase", "sketch", "exchange", "preemptive", "exhaustive", "backward_only"):
+for _v in ("two_phase", "sketch", "exhaustive", "backward_only"):
     _add(f"kw_topk_{_v}", *_topk("g1", Q4, 3, 10, _v))
 _add("kw_topk_weighted", *_topk("g1r", Q4, 6))
 _add("kw_topk_copurchase", *_topk("g3", ("household", "nation_3", "1-urgent"), 6))
@@ -130,7 +130,9 @@ _add("kw_distances", lambda s, d: keyword_distances(build_graph(s, d, "g1"), Key
 
 
 def _labels(s: SparkSession, d: str, graph: str = "g1", keywords=Q4, tau: int = 3) -> tuple[DataFrame, DataFrame]:
-    labels, _ = Search(build_graph(s, d, graph), [KeywordQuery(keywords, tau)], "exhaustive").backward()
+    wave = Search(build_graph(s, d, graph), [KeywordQuery(keywords, tau)], "exhaustive")
+    labels, _ = wave.backward()
+    wave.close()
     return labels, query_frame(s, [KeywordQuery(keywords, tau)])
 
 
@@ -156,7 +158,7 @@ def _root_filter(s: SparkSession, d: str) -> DataFrame:
     g, q = build_graph(s, d, "g1r"), KeywordQuery(Q2, 3, 10)
     labels, query = _labels(s, d, "g1r", Q2)
     complete = tree.with_root_kind(waves.matches(labels, query).filter("complete"), g, "customer")
-    return bounds.top_answers(complete, query_frame(s, [q]))
+    return bounds.top_answers(complete, {q.qid: q.k})
 
 
 _add(

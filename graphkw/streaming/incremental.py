@@ -53,8 +53,8 @@ class Continuous:
         fresh = merge_edges(edges)
         touched = fresh.select(F.col("dst").alias("vid")).distinct()
         labels = self.labels.df
-        again = labels.join(F.broadcast(touched), "vid", "left_semi").select(*waves.KEY, "p", F.lit(None).cast("long").alias("done"))
-        labels = labels.join(F.broadcast(touched), "vid", "left_anti").unionByName(again)
+        again = labels.join(touched, "vid", "left_semi").select(*waves.KEY, "p", F.lit(None).cast("long").alias("done"))
+        labels = labels.join(touched, "vid", "left_anti").unionByName(again)
         if postings is not None:
             q = query_frame(self.edges.spark, [self.query])
             labels = waves.merge(labels, labels.limit(0), waves.origins(postings, q))
@@ -69,4 +69,4 @@ class Continuous:
 
     def answers(self) -> DataFrame:
         q = query_frame(self.edges.spark, [self.query])
-        return top_answers(waves.matches(self.labels.df, q).filter("complete"), q)
+        return top_answers(waves.matches(self.labels.df, q).filter("complete"), {self.query.qid: self.query.k})

@@ -1,10 +1,12 @@
+from pyspark.sql import functions as F
+
 from graphkw.operators import waves
 from graphkw.operators.checks import bounds_fall, missing_roots, rounds_bounded, worsened
 from graphkw.operators.tree import explain_match, match_tree, steiner_weight
 from graphkw.plans.experiments import straggler_ratio
 from graphkw.plans.search import Search, search
 from graphkw.plans.sqlgen import publish_views, to_sql
-from graphkw.schema import KeywordQuery
+from graphkw.schema import Graph, KeywordQuery
 from graphkw.sources.files import load_edge_list, load_graph, load_triples, save_graph
 from tests.test_engine import W1_EDGES, W1_POSTINGS, make
 
@@ -50,3 +52,33 @@ def test_files_round_trip(spark, tmp_path):
 
 def test_straggler_ratio():
     assert straggler_ratio([{"pops": {0: 3, 1: 1}}, {"pops": {0: 0, 1: 0}}]) == 1.5
+
+
+def _plan(df):
+    return df._jdf.queryExecution().executedPlan().toString() + df._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_rounds_read_the_held_edges_and_limit_ranks(spark, tmp_path):
+    """No round goes back to the source tables, the edges aren't moved again, and ranks are cut before they are moved."""
+    edges = spark.createDataFrame(W1_EDGES, "src long, dst long, w long")
+    edges.write.parquet(str(tmp_path / "source"))
+    g = make(spark, W1_EDGES, W1_POSTINGS)
+    g = Graph(g.vertices, spark.read.parquet(str(tmp_path / "source")), g.postings)
+    run = Search(g, [QUERY], "two_phase")
+    held = run._held_edges("dst")
+    start = run._keep(waves.origins(g.postings, run.query).withColumn("done", F.lit(None).cast("long"))).select(*waves.KEY, "p")
+    files = waves.relax(start, held, run._limits()).inputFiles()
+    assert files and not any("/source" in f for f in files)
+    assert "WindowGroupLimit" in _plan(run.run().answers)
+
+
+def test_hubs_are_split(spark):
+    edges = spark.createDataFrame([(i, 0, 1) for i in range(1, 41)] + [(0, 50, 1), (1, 50, 1)], "src long, dst long, w long")
+    hub = waves.hubs(edges, 10)
+    assert [tuple(r) for r in hub.collect()] == [(0, 4)]
+    split = waves.split_edges(edges, hub)
+    assert split.filter("dst = 0").select("part").distinct().count() == 4 and split.filter("dst = 50 AND part <> 0").isEmpty()
+    front = spark.createDataFrame([(0, 0, 0, 0), (0, 0, 50, 50)], "qid int, kid int, vid long, p long")
+    limits = spark.createDataFrame([(0, 3)], "qid int, cap long")
+    got, want = (sorted(map(tuple, x.collect())) for x in (waves.relax_split(front, split, hub, limits), waves.relax(front, edges, limits)))
+    assert got == want and len(got) == 42
