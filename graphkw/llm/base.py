@@ -16,11 +16,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one only where the session names none."""
+    """The folder that the session names for checkpoints. Only a local master, as in tests, may go without one."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
+        if spark.conf.get("spark.master", "local").split("[")[0] != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         named = f"{tempfile.gettempdir()}/graphkw-stages"
-        spark.conf.set("spark.checkpoint.dir", named)
     return named.rstrip("/")
 
 

@@ -1,7 +1,8 @@
 """Connected components by alternating large and small stars.
 
-Each half-step is a minimum per node joined back to the edges, so a hub's edges are
-spread as the join likes and nothing larger than one edge meets in a task. Every
+Each half-step is a minimum per node (combined before it is moved) joined back to
+the edges. The edges of a hub, two longs a row, meet in one task of that join unless
+the session lets adaptive execution split it; they are streamed, never held. Every
 round is written to the shared folder, which cuts the lineage.
 """
 

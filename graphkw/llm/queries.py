@@ -9,7 +9,7 @@ from .line_dedup import op8_line_dedup
 from .minhash import OP3_SQL, op3_minhash_dedup
 from .packing import op2_packing
 from .quality_knn import op1_quality_classifier
-from .suffix_dedup import op5_suffix_dedup
+from .suffix_dedup import OP5_SQL, op5_suffix_dedup
 from .token_counts import op9_token_counts
 from .url_filter import OP6_SQL, op6_url_filter
 
@@ -25,4 +25,4 @@ QUERIES = {
     "op9_token_counts": op9_token_counts,
     "op10_html_text": op10_html_text,
 }
-ORACLE_SQL = {"op3_minhash_dedup": OP3_SQL, "op4_decontamination": OP4_SQL, "op6_url_filter": OP6_SQL}
+ORACLE_SQL = {"op3_minhash_dedup": OP3_SQL, "op4_decontamination": OP4_SQL, "op5_suffix_dedup": OP5_SQL, "op6_url_filter": OP6_SQL}
