@@ -18,22 +18,27 @@ from graphkw.llm.quality_knn import fit_quality, keep_good
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops the documents that the classifier rejects; null and empty texts are scored like any other. An empty table stays empty."""
     return keep_good(docs, fit_quality(docs, table(spark, sf_dir, "labels")))
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps one of each group of alike lines; documents stay even without lines, null texts stay null."""
     return dedup_lines(docs).select(docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps one document of each group; texts without words, rows that repeat an id and text, and rows with a null doc_id all stay."""
     return drop_near_duplicates(docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops the documents that hold a passage of a benchmark item; null texts and null items match nothing."""
     return drop_contaminated(docs, load_tests(table(spark, sf_dir, "benchmark")))
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Packs what is left into sequences; a null or empty text is one end token."""
     return pack_documents(docs)
 
 
