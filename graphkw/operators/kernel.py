@@ -39,6 +39,7 @@ class Output:
     answers: list[tuple[int, int]] = field(default_factory=list)
     pops: int = 0
     refined: int = 0
+    roots: int = 0
 
 
 class Fragment:
@@ -154,7 +155,9 @@ class Fragment:
         top = self._list()
         s = min(task.bound, top.bound)
         todo: dict[tuple[int, int], int] = {}
-        for v, q, b in [*demands, *(self.roots(task, s) if own_roots else ())]:
+        ahead = self.roots(task, s) if own_roots else []
+        out.roots += len({v for v, _, _ in ahead})
+        for v, q, b in [*demands, *ahead]:
             if b > served.get((v, q), -1):
                 todo[v, q] = max(b, todo.get((v, q), -1))
         sent: dict[tuple[int, int], int] = {}

@@ -17,12 +17,12 @@ from graphkw.functions.workload import generate
 from graphkw.operators.partition import partition
 from graphkw.operators.sketch import Index
 from graphkw.plans.program import run_program
-from graphkw.reference import sequential
+from graphkw.plans.baseline import sequential_answers
 from graphkw.schema import Graph, KeywordQuery
 from graphkw.sources.tables import build_graph, synthetic
 
-SCHEMA = "experiment string, variant string, setting string, queries int, seconds double, supersteps double, messages double, bytes double, expansions double, visited double, notified double, pushed double, slowest_share double"
-VARIANTS = ("two_phase", "sketch", "exchange", "preemptive")
+SCHEMA = "experiment string, variant string, setting string, queries int, seconds double, supersteps double, messages double, bytes double, expansions double, visited double, notified double, pushed double, slowest_share double, forward_roots double, speedup double, bytes_share double"
+VARIANTS = ("exhaustive", "two_phase", "sketch", "exchange", "preemptive")
 DEFAULTS = {"size": 4, "tau": 3, "k": 10, "m": 8}
 
 
@@ -33,13 +33,26 @@ def straggler_ratio(steps: list[dict]) -> float:
 
 
 def measure(name: str, graph: Graph, queries: list[KeywordQuery], setting: str, m: int, variants=VARIANTS, **options) -> Iterator[tuple]:
-    """Means over the queries, a row per variant."""
+    """Means over the queries, a row per variant; speed-up over the exhaustive baseline and share of its bytes, where it is among them."""
     graph = partition(graph, m, options.pop("how", "hash")) if graph.frags is None else graph
-    index = Index.build(graph, 8, 2 * max(q.tau for q in queries), iterations=5) if set(variants) - {"two_phase", "single_task"} else None
+    index = Index.build(graph, 8, 2 * max(q.tau for q in queries), iterations=5) if set(variants) - {"exhaustive", "two_phase", "single_task"} else None
+    base = None
     for variant in variants:
         runs = [run_program(graph, q, variant, m, index=index, **options) for q in queries]
         mean = lambda f: sum(map(f, runs)) / len(runs)  # noqa: B023, E731
-        yield (name, variant, setting, len(runs), mean(lambda r: r.seconds), mean(lambda r: len(r.steps)), mean(lambda r: r.messages), mean(lambda r: r.message_bytes), mean(lambda r: r.pops), mean(lambda r: r.visited), mean(lambda r: r.notified), mean(lambda r: r.pushed), mean(lambda r: straggler_ratio(r.steps)))
+        seconds, sent = mean(lambda r: r.seconds), mean(lambda r: r.message_bytes)
+        if variant == "exhaustive":
+            base = seconds, sent
+        ratios = (base[0] / seconds, sent / base[1] if base[1] else math.nan) if base else (math.nan, math.nan)
+        yield (name, variant, setting, len(runs), seconds, mean(lambda r: len(r.steps)), mean(lambda r: r.messages), sent, mean(lambda r: r.pops), mean(lambda r: r.visited), mean(lambda r: r.notified), mean(lambda r: r.pushed), mean(lambda r: straggler_ratio(r.steps)), mean(lambda r: r.forward_roots), *ratios)
+
+
+def growth(rows: list[tuple]) -> dict[str, float]:
+    """By how many per cent each variant's mean seconds differ between the first and the last setting of a sweep."""
+    by: dict[str, list[float]] = {}
+    for r in rows:
+        by.setdefault(r[1], []).append(r[4])
+    return {v: 100 * (s[-1] / s[0] - 1) for v, s in by.items() if s[0]}
 
 
 def _drawn(graph: Graph, n: int, **changes) -> list[KeywordQuery]:
@@ -99,12 +112,11 @@ def versus_sequential(spark, sf_dir, n):
     g = build_graph(spark, sf_dir, "g1u")
     queries = _drawn(g, n)
     yield from measure("versus_sequential", g, queries, "m=8", DEFAULTS["m"], ("preemptive",))
-    # The one-machine baseline reads the whole graph to one place by definition.
-    edges, postings = [tuple(r) for r in g.edges.collect()], [tuple(r) for r in g.postings.collect()]
+    # The one-machine baseline reads the whole graph in one task by definition; the driver gets its k answers.
     for q in queries:
         began = time.time()
-        _, seen = sequential(edges, [p for p in postings if p[0] in q.keywords], q)
-        yield ("versus_sequential", "sequential", f"q{q.qid}", 1, time.time() - began, 1.0, 0.0, 0.0, float(seen["settled"] + seen["forward"]), float(seen["settled"]), 0.0, 0.0, 1.0)
+        sequential_answers(g, q).collect()
+        yield ("versus_sequential", "sequential", f"q{q.qid}", 1, time.time() - began, 1.0, *[0.0] * 6, 1.0, 0.0, math.nan, math.nan)
 
 
 def stragglers(spark, sf_dir, n):

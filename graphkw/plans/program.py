@@ -25,6 +25,8 @@ from graphkw.storage import Snapshot
 
 #: Fixed widths of messages, as the accounting counts them.
 MATCH_BYTES, DEMAND_BYTES, BOUND_BYTES = 28, 20, 12
+#: A list of no bound: the baseline's.
+EVERY = 1 << 60
 ROWS = "tag string, frag int, a long, b long, c long, d long"
 
 
@@ -48,8 +50,10 @@ class Run:
         return spark.createDataFrame([(0, i + 1, r, s) for i, (r, s) in enumerate(self.answers)], "qid int, rank int, root long, score long")
 
 
-#: name: (sketches, exchange, selector)
+#: name: (sketches, exchange, selector). ``exhaustive`` is the distributed baseline: no bound at all, every complete match
+#: within tau goes to the coordinator, which verifies them and takes the k best.
 LADDER = {
+    "exhaustive": (False, False, "backward_first"),
     "two_phase": (False, False, "backward_first"),
     "sketch": (True, False, "backward_first"),
     "exchange": (True, True, "backward_first"),
@@ -96,7 +100,7 @@ def _step(n: int, tau: int, k: int, tasks: dict[int, Task]):
         rows = keep + [("label", v, q, d, leaf) for (v, q), (d, leaf) in f.label.items() if d < math.inf]
         rows += [("pending", *x) for x in out.left] + [("answer", *x) for x in back.left] + [("served", v, q, b, 0) for v, q, b in out.served]
         own = [(t, frag, *map(int, r)) for t, *r in rows]
-        own += [("list", frag, r, s, 0, 0) for r, s in out.answers] + [("metric", frag, out.pops, out.refined, len(f.label), 0)]
+        own += [("list", frag, r, s, 0, 0) for r, s in out.answers if k < EVERY] + [("metric", frag, out.pops, out.refined, len(f.label), back.roots)]
         # Messages: rows of other fragments, marked as on the way; each once, the best.
         for tag, sent in (("msg_b", out.to_copies), ("msg_a", back.to_copies)):
             best: dict[tuple, tuple] = {}
@@ -135,13 +139,13 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
         seed = index.seed_bounds(graph, q, {query.qid: query}).get(query.qid, math.inf)
     held = Snapshot(state.select("tag", "frag", "a", "b", "c", "d"))
     known = dict.fromkeys(range(m), seed)
-    quiet_forward = False
+    quiet_forward, every = False, variant == "exhaustive"
     for step in range(1, max_steps + 1):
         buffers = {(r["frag"], r["tag"]): r for r in held.df.filter("tag IN ('pending', 'answer', 'demand')").groupBy("frag", "tag").agg(F.count("*").alias("n"), F.sum("a").alias("sa"), F.sum("c").alias("sc")).collect()}
         minima = [math.inf] * n
         for r in held.df.filter("tag = 'pending'").groupBy("b").agg(F.min("a").alias("d")).collect():
             minima[r["b"]] = r["d"]
-        final = sum(minima) > board.bound or min(minima) > min(query.tau, board.bound)
+        final = not every and sum(minima) > board.bound or min(minima) > min(query.tau, board.bound)
         tasks: dict[int, Task] = {}
         for frag in range(m):
             parts = [x for x in (None if final else buffers.get((frag, "pending")), buffers.get((frag, "answer"))) if x]
@@ -150,16 +154,16 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
             sb = backward_budget(d_back / n_back, bound_i, query.tau) if n_back else math.inf
             sf = forward_budget(f["sc"] / f["n"], query.tau) if f else math.inf
             kind = choose(sb, sf, step)
-            tasks[frag] = Task(kind, bound_i, tuple(minima), force=not exchange and step > 1, wave=not final)
+            tasks[frag] = Task(kind, bound_i, tuple(minima), force=every or not exchange and step > 1, wave=every or not final)
         if all(t.kind == IDLE for t in tasks.values()):
-            if quiet_forward:
+            if quiet_forward or every:
                 break
             # All buffers are empty: every fragment searches ahead for what its own roots lack.
             for frag, t in tasks.items():
                 bound_i = min(board.bound, known[frag], board.local[frag])
                 tasks[frag] = Task(FORWARD, bound_i, tuple(minima))
             quiet_forward = True
-        moved = edges.groupBy("frag").cogroup(held.df.groupBy("frag")).applyInPandas(_step(n, query.tau, query.k, tasks), ROWS)
+        moved = edges.groupBy("frag").cogroup(held.df.groupBy("frag")).applyInPandas(_step(n, query.tau, EVERY if every else query.k, tasks), ROWS)
         after = Snapshot(moved)
         rows = after.df
         sent = {r["tag"]: r["n"] for r in rows.filter("tag IN ('msg_b', 'msg_a', 'msg_d')").groupBy("tag").agg(F.count("*").alias("n")).collect()}
@@ -171,6 +175,7 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
                 lists.setdefault(r["frag"], []).append((r["a"], r["b"]))
             else:
                 pops[r["frag"]] = r["a"]
+                run.forward_roots += r["d"]
         for frag, found in lists.items():
             found.sort(key=lambda x: (x[1], x[0]))
             board.report(frag, found[-1][1] if len(found) == query.k else math.inf, found)
@@ -193,18 +198,21 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
     else:
         raise RuntimeError(f"no end after {max_steps} supersteps")
     run.visited = held.df.filter("tag = 'label'").select("a").distinct().count()
-    run.answers = assemble(board.lists.values(), query.k)
+    shipped = sum(len(x) for x in board.lists.values())
+    if every:
+        owned = held.df.filter("tag = 'label'").join(graph.frags.select(F.col("vid").alias("a"), "frag"), ["a", "frag"])
+        complete = Snapshot(owned.groupBy("a").agg(F.count("*").alias("found"), F.sum("c").alias("score")).filter(F.col("found") == n), [F.count("*").alias("n")])
+        shipped = complete.seen["n"]
+        run.answers = [(r["a"], r["score"]) for r in complete.df.orderBy("score", "a").limit(query.k).collect()]
+        complete.drop()
+    else:
+        run.answers = assemble(board.lists.values(), query.k)
     run.notified, run.pushed = board.notified, board.pushed
-    run.message_bytes += (board.notified + board.pushed) * BOUND_BYTES + sum(len(x) for x in board.lists.values()) * (16 + 16 * n)
+    run.message_bytes += (board.notified + board.pushed) * BOUND_BYTES + shipped * (16 + 16 * n)
     run.seconds = time.time() - began
     return run
 
 
-def exhaustive_bytes(complete_rows: int, n: int, crossing_labels: int) -> int:
-    """What the exhaustive baseline ships: every label that crosses fragments and every complete candidate row."""
-    return crossing_labels * MATCH_BYTES + complete_rows * (16 + 16 * n)
-
-
 def to_single_task(steps) -> list[tuple[str, object]]:
     """Compiles (name, partial, incremental) subtasks and an assemble into one function per phase with a branch on the task."""
     partial = [(name, p) for name, p, _ in steps]

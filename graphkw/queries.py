@@ -111,13 +111,13 @@ _add("kw_undirected", *_topk("g1", ("asia", "widget"), 3, directed=False))
 def _program(variant: str):
     def run(s: SparkSession, d: str) -> DataFrame:
         g, q = build_graph(s, d, "g1"), KeywordQuery(Q4, 3, 10)
-        index = sketch.Index.build(g, 4, 6, iterations=3) if variant != "two_phase" else None
+        index = sketch.Index.build(g, 4, 6, iterations=3) if variant not in ("exhaustive", "two_phase") else None
         return run_program(g, q, variant, m=4, index=index).frame(s)
 
     return run, f"SELECT qid, rank, root, score FROM ({topk_sql('g1', Q4, 3, 10)})"
 
 
-for _v in ("two_phase", "sketch", "exchange", "preemptive", "single_task"):
+for _v in ("exhaustive", "two_phase", "sketch", "exchange", "preemptive", "single_task"):
     _add(f"frag_topk_{_v}", *_program(_v))
 _add("kw_topk_sequential", lambda s, d: sequential_answers(build_graph(s, d, "g1"), KeywordQuery(Q4, 3, 10)), f"SELECT qid, rank, root, score FROM ({topk_sql('g1', Q4, 3, 10)})")
 _add(
@@ -419,7 +419,17 @@ def _costs(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(rows, "variant string, supersteps int, messages long, bytes long, pops long, visited long, notified long, pushed long")
 
 
+def _share(s: SparkSession, d: str) -> DataFrame:
+    """Bytes, expansions and forward roots beside the exhaustive baseline's, and the share of its bytes."""
+    g, q = partition.partition(build_graph(s, d, "g1"), 4), KeywordQuery(Q4, 3, 10)
+    runs = {v: run_program(g, q, v, 4) for v in ("exhaustive", "two_phase")}
+    base = runs["exhaustive"].message_bytes
+    rows = [(v, r.message_bytes, r.pops, r.forward_roots, r.message_bytes / base if base else None) for v, r in runs.items()]
+    return s.createDataFrame(rows, "variant string, bytes long, pops long, forward_roots long, share double")
+
+
 _add("cost_messages_by_variant", _costs)
+_add("cost_share_of_exhaustive", _share)
 _add("exp_trajectory", lambda s, d: trajectory(s, build_graph(s, d, "g1r"), KeywordQuery(Q4, 3, 10), "single_task", 2))
 _add(
     "cost_visited_by_step",

@@ -1,5 +1,6 @@
 import math
 import random
+from dataclasses import replace
 
 import pytest
 
@@ -7,6 +8,7 @@ from graphkw.operators import partition, sketch
 from graphkw.operators.bounds import BoundBoard, TopKList, assemble
 from graphkw.operators.kernel import Fragment, Output, Task
 from graphkw.plans import selector
+from graphkw.plans.experiments import growth
 from graphkw.plans.program import run_program, to_single_task
 from graphkw.plans.search import keyword_distances, search, search_batch
 from graphkw.reference import brute_force, distances, sequential
@@ -191,3 +193,17 @@ def test_insertions_equal_a_new_search(spark):
     standing.insert(spark.createDataFrame(edges[half:], "src long, dst long, w long"))
     got = [(r.root, r.score) for r in standing.answers().orderBy("rank").collect()]
     assert got == brute_force(edges, postings, query)
+
+
+def test_exhaustive_baseline_ships_every_complete_match(spark):
+    for seed in (2, 3):
+        edges, postings, query = drawn(seed)
+        g = make(spark, edges, postings)
+        base, ours = (run_program(g, query, v, m=3) for v in ("exhaustive", "two_phase"))
+        assert base.answers == ours.answers == brute_force(edges, postings, query)
+        assert base.message_bytes >= len(brute_force(edges, postings, replace(query, k=10**6))) * (16 + 16 * len(query.keywords))
+
+
+def test_growth_of_a_sweep():
+    rows = [("by_k", v, "", 1, s) for v, s in (("a", 2.0), ("b", 1.0), ("a", 3.0), ("b", 1.0))]
+    assert growth(rows) == {"a": 50.0, "b": 0.0}
