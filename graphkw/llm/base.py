@@ -51,10 +51,10 @@ def text_of(name: str = "text"):
 
 
 def by_bytes(texts: list[str | None], limit: int) -> Iterator[tuple[int, int]]:
-    """Ranges of consecutive texts with about ``limit`` characters each; a longer text stands alone."""
+    """Ranges of consecutive texts with about ``limit`` bytes of UTF-8 each; a longer text stands alone."""
     start, held = 0, 0
     for i, t in enumerate(texts):
-        n = len(t) if t else 0
+        n = 0 if not t else len(t) if t.isascii() else len(t.encode("utf-8", "surrogatepass"))
         if held and held + n > limit:
             yield start, i
             start, held = i, 0

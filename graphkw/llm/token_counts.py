@@ -21,7 +21,7 @@ from .encoder import encoder, tokenizer_path
 SCHEMA = "doc_id long, n_bytes long, n_tokens long, over_limit boolean"
 
 
-def count_tokens(docs: DataFrame, limit: int = 1024, tokenizer: str | None = None, run_chars: int = 1 << 20) -> DataFrame:
+def count_tokens(docs: DataFrame, limit: int = 1024, tokenizer: str | None = None, run_bytes: int = 1 << 20) -> DataFrame:
     """One row per document: bytes, tokens and whether it has more than ``limit`` tokens."""
     path = tokenizer or tokenizer_path()
 
@@ -30,9 +30,9 @@ def count_tokens(docs: DataFrame, limit: int = 1024, tokenizer: str | None = Non
 
         def work(batch):
             ids, texts = batch.column(0), batch.column(1).to_pylist()
-            for a, b in by_bytes(texts, run_chars):
+            for a, b in by_bytes(texts, run_bytes):
                 n_bytes = [len(t.encode("utf-8", "surrogatepass")) for t in texts[a:b]]
-                n_tokens = [len(enc.ids(t)) for t in texts[a:b]]
+                n_tokens = enc.lengths(texts[a:b])
                 yield pa.RecordBatch.from_arrays(
                     [ids.slice(a, b - a), pa.array(n_bytes, pa.int64()), pa.array(n_tokens, pa.int64()), pa.array([n > limit for n in n_tokens])],
                     ["doc_id", "n_bytes", "n_tokens", "over_limit"],
