@@ -26,6 +26,7 @@ class Task:
     force: bool = False
     wave: bool = True
     micro: int = 1 << 30
+    border: bool = False
 
 
 @dataclass
@@ -38,8 +39,11 @@ class Output:
     served: list[tuple] = field(default_factory=list)
     answers: list[tuple[int, int]] = field(default_factory=list)
     pops: int = 0
+    ahead: int = 0
     refined: int = 0
     roots: int = 0
+    skipped: int = 0
+    stopped: bool = False
 
 
 class Fragment:
@@ -110,11 +114,14 @@ class Fragment:
             tops = [h[0][0] if h else math.inf for h in heaps]
             s = min(task.bound, top.bound)
             least = min(tops)
-            if least == math.inf or least > min(self.tau, s) or out.pops >= task.micro:
+            if least == math.inf or least > min(self.tau, s):
                 break
             # The local frontier says nothing about keywords that arrive by other fragments: their global minima count.
             if not task.force and sum(min(t, m) for t, m in zip(tops, task.minima, strict=True)) > s:
                 break
+            if out.pops >= task.micro:
+                out.stopped = True
+                break
             q = tops.index(least)
             d, v, leaf = heapq.heappop(heaps[q])
             out.pops += 1
@@ -135,27 +142,53 @@ class Fragment:
     def _final(self, v: int, q: int, minima) -> bool:
         return self.label.get((v, q), (math.inf, 0))[0] <= minima[q]
 
-    def roots(self, task: Task, s: float) -> list[tuple[int, int, int]]:
-        """(v, q, budget) of owned vertices that may still be answers, for keywords they lack or hold provisionally."""
-        out = []
+    def border(self) -> dict[int, int]:
+        """Distance from each owned vertex to the nearest foreign one, within tau."""
+        best = {v: 0 for v in self.inward if not self.owns(v)}
+        heap = [(0, v) for v in best]
+        heapq.heapify(heap)
+        while heap:
+            d, v = heapq.heappop(heap)
+            if d > best[v]:
+                continue
+            for u, w in self.inward[v]:
+                if d + w <= self.tau and d + w < best.get(u, math.inf):
+                    best[u] = d + w
+                    heapq.heappush(heap, (d + w, u))
+        return best
+
+    def roots(self, task: Task, s: float, queue=(), missing: bool = False, seen: Output | None = None) -> list[tuple[int, int, int]]:
+        """(v, q, budget) of owned vertices that may still be answers, for keywords they lack or (unless ``missing``) hold provisionally.
+
+        With ``task.border``, a keyword is not searched for within a budget that reaches neither a foreign vertex nor the
+        fragment's own frontier ``queue``: every path that short lies inside, where the wave has passed already.
+        """
+        out, border, nearest = [], self.border() if task.border else {}, [math.inf] * self.n
+        for d, q, _, _ in queue:
+            nearest[q] = min(nearest[q], d)
         for v in {v for (v, _), (d, _) in self.label.items() if d < math.inf and self.owns(v)}:
             d = [self.label.get((v, q), (math.inf, 0))[0] for q in range(self.n)]
             low = [x if x <= m else max(min(x, m), self.lower.get((v, q), 0)) for q, (x, m) in enumerate(zip(d, task.minima, strict=True))]
             if max(low) > self.tau or (total := sum(low)) > s:
                 continue
             for q in range(self.n):
-                if d[q] > task.minima[q]:
+                if d[q] > task.minima[q] and (d[q] == math.inf or not missing):
                     budget = min(self.tau, d[q], s - (total - low[q]))
-                    if budget >= low[q]:
-                        out.append((v, q, int(budget)))
+                    if budget < low[q]:
+                        continue
+                    if task.border and border.get(v, math.inf) > budget and nearest[q] > budget:
+                        if seen:
+                            seen.skipped += 1
+                        continue
+                    out.append((v, q, int(budget)))
         return out
 
-    def forward(self, task: Task, demands: list[tuple[int, int, int]], served: dict[tuple[int, int], int], out: Output, own_roots: bool) -> None:
+    def forward(self, task: Task, demands: list[tuple[int, int, int]], served: dict[tuple[int, int], int], out: Output, own_roots: bool, queue=(), missing: bool = False) -> None:
         """Searches ahead for each (v, q, budget) not served as far yet; found labels are passed on backwards next time."""
         top = self._list()
         s = min(task.bound, top.bound)
         todo: dict[tuple[int, int], int] = {}
-        ahead = self.roots(task, s) if own_roots else []
+        ahead = self.roots(task, s, queue, missing, out) if own_roots else []
         out.roots += len({v for v, _, _ in ahead})
         for v, q, b in [*demands, *ahead]:
             if b > served.get((v, q), -1):
@@ -163,7 +196,14 @@ class Fragment:
         sent: dict[tuple[int, int], int] = {}
         changed: dict = {}
         asked = {(v, q) for v, q, _ in demands}
-        for (v, q), budget in sorted(todo.items(), key=lambda x: (-x[1], x[0])):
+        order, began = sorted(todo.items(), key=lambda x: (-x[1], x[0])), out.pops
+        for i, ((v, q), budget) in enumerate(order):
+            if out.pops - began >= task.micro:
+                # What others asked for stays in the buffer; own roots are listed anew.
+                rest = dict(order[i:])
+                out.demands_left += [x for x in demands if (x[0], x[1]) in rest]
+                out.stopped = True
+                break
             served[v, q] = budget
             dist, heap, best = {v: 0}, [(0, v)], self.label.get((v, q), (math.inf, 0))
             while heap:
@@ -193,5 +233,6 @@ class Fragment:
             served[x, q] = max(b, served.get((x, q), -1))
         out.left += [(d, q, v, leaf) for (v, q), (d, leaf) in changed.items()]
         self._ship(changed, out)
+        out.ahead += out.pops - began
         out.served = [(v, q, b) for (v, q), b in served.items()]
         out.answers = top.rows()

@@ -3,13 +3,14 @@
 Each superstep is one cogrouped job: a fragment's edges meet its state rows, the
 kernel runs the task chosen for it, and returns new state, messages and its k best.
 State stays in the shared folder; the driver holds k rows and a few numbers per
-fragment. Between supersteps the coordinator updates its board and pushes bounds.
+fragment. Whenever fragments pause the coordinator updates its board and pushes bounds.
 """
 
 from __future__ import annotations
 
 import math
 import time
+from collections.abc import Callable, Sequence
 from dataclasses import dataclass, field, replace
 
 import pandas as pd
@@ -19,7 +20,7 @@ from pyspark.sql import functions as F
 from graphkw.operators.bounds import BoundBoard, assemble
 from graphkw.operators.kernel import Fragment, Output, Task
 from graphkw.operators.partition import framed_edges, partition
-from graphkw.plans.selector import BACKWARD, FORWARD, IDLE, SELECTORS, backward_budget, forward_budget, indicator
+from graphkw.plans.selector import BACKWARD, FORWARD, IDLE, PARTIAL, SELECTORS, backward_budget, forward_budget, indicator
 from graphkw.schema import Graph, KeywordQuery, query_frame
 from graphkw.storage import Snapshot
 
@@ -27,6 +28,8 @@ from graphkw.storage import Snapshot
 MATCH_BYTES, DEMAND_BYTES, BOUND_BYTES = 28, 20, 12
 #: A list of no bound: the baseline's.
 EVERY = 1 << 60
+#: Messages that were sent in this superstep and arrive in the next.
+ON_THE_WAY = ("msg_b", "msg_a", "msg_d")
 ROWS = "tag string, frag int, a long, b long, c long, d long"
 
 
@@ -42,7 +45,9 @@ class Run:
     pops: int = 0
     notified: int = 0
     pushed: int = 0
+    ahead_pops: int = 0
     forward_roots: int = 0
+    parts: int = 0
     seconds: float = 0.0
     bounds: list[float] = field(default_factory=list)
 
@@ -62,8 +67,78 @@ LADDER = {
 }
 
 
-def _step(n: int, tau: int, k: int, tasks: dict[int, Task]):
-    """The kernel as a cogrouped function; rows are tagged (see ``ROWS``)."""
+@dataclass
+class Work:
+    """A fragment's buffers and what its subtasks make of them in one superstep (or a part of one)."""
+
+    fragment: Fragment
+    task: Task
+    pending: list[tuple]
+    answers: list[tuple]
+    demands: list[tuple]
+    served: dict[tuple[int, int], int]
+    #: What the wave passes on, and what answers and searches ahead pass on.
+    wave: Output = field(default_factory=Output)
+    back: Output = field(default_factory=Output)
+
+
+@dataclass(frozen=True)
+class Subtask:
+    """One task of the program: the tags of its message buffers, its step in the first superstep and its step in later ones."""
+
+    name: str
+    buffers: tuple[str, ...]
+    partial: Callable[[Work], None]
+    incremental: Callable[[Work], None]
+
+
+def _spread(work: Work) -> None:
+    # Answers to demands flow back whether or not the wave has ended.
+    if work.answers:
+        work.fragment.backward(replace(work.task, force=True), work.answers, work.back)
+        work.answers = []
+    if work.task.wave:
+        work.fragment.backward(work.task, work.pending, work.wave)
+        work.pending = work.wave.left
+        work.wave.left = []
+    best = work.wave if work.task.wave else work.back
+    work.wave.answers = best.answers
+
+
+def _ahead(work: Work, missing: bool = False) -> None:
+    f, out = work.fragment, Output()
+    f.forward(work.task, work.demands, work.served, out, True, work.pending, missing)
+    work.demands, work.wave.answers = out.demands_left, out.answers
+    work.served = {(v, q): b for v, q, b in out.served}
+    back = work.back
+    back.left, back.to_copies, back.to_owners = back.left + out.left, back.to_copies + out.to_copies, back.to_owners + out.to_owners
+    back.pops, back.refined, back.roots, back.skipped = back.pops + out.pops, back.refined + out.refined, back.roots + out.roots, back.skipped + out.skipped
+    back.ahead += out.ahead
+    back.stopped |= out.stopped
+
+
+def _first_ahead(work: Work) -> None:
+    """Searches from partial roots for what they lack altogether, as soon as this fragment's own wave has ended."""
+    if not (work.wave.stopped or work.back.stopped):
+        _ahead(work, missing=True)
+
+
+SUBTASKS = (Subtask(BACKWARD, ("pending", "answer"), _spread, _spread), Subtask(FORWARD, ("demand",), _first_ahead, _ahead))
+
+
+def to_single_task(subtasks: Sequence[Subtask] = SUBTASKS) -> Callable[[str, Work], None]:
+    """Compiles subtasks into one function of the chosen task: all partial steps in order, or one incremental step."""
+    partial, later = [t.partial for t in subtasks], {t.name: t.incremental for t in subtasks}
+
+    def perform(kind: str, work: Work) -> None:
+        for step in partial if kind == PARTIAL else [later[kind]]:
+            step(work)
+
+    return perform
+
+
+def _step(n: int, tau: int, k: int, tasks: dict[int, Task], subtasks: Sequence[Subtask] = SUBTASKS):
+    """The kernel as a cogrouped function; rows are tagged (see ``ROWS``). Messages on the way pass through untouched."""
 
     def run(edges: pd.DataFrame, state: pd.DataFrame) -> pd.DataFrame:
         frag = int(state["frag"].iloc[0] if len(state) else edges["frag"].iloc[0])
@@ -75,46 +150,43 @@ def _step(n: int, tau: int, k: int, tasks: dict[int, Task]):
         f = Fragment(frag, n, tau, k, edges[["src", "dst", "w", "src_frag", "dst_frag"]].to_numpy().tolist(), by.get("label", ()), (), lower)
         for d, q, v, leaf in by.get("held", ()):
             f.owner.setdefault(v, frag)
-        out, back = Output(), Output()
-        keep: list[tuple] = [("lower", v, q, d, 0) for (v, q), d in lower.items()]
-        queue, answers = [tuple(x) for x in by.get("pending", ())], [tuple(x) for x in by.get("answer", ())]
-        demands = [tuple(x[:3]) for x in by.get("demand", ())]
-        served = {(v, q): b for v, q, b, _ in by.get("served", ())}
-        if task.kind == BACKWARD:
-            # Answers to demands flow back whether or not the wave has ended.
-            if answers:
-                f.backward(replace(task, force=True), answers, back)
-            if task.wave:
-                f.backward(task, queue, out)
-            else:
-                keep += [("pending", *x) for x in queue]
-                out.answers = back.answers
-            keep += [("demand", v, q, b, 0) for v, q, b in demands]
-            out.served = [(v, q, b) for (v, q), b in served.items()]
-        else:
-            f.forward(task, demands, served, back, True)
-            out.answers, out.served, out.to_owners = back.answers, back.served, back.to_owners
-            keep += [("pending", *x) for x in queue] + [("answer", *x) for x in answers]
-        out.pops += back.pops
-        out.refined += back.refined
-        rows = keep + [("label", v, q, d, leaf) for (v, q), (d, leaf) in f.label.items() if d < math.inf]
-        rows += [("pending", *x) for x in out.left] + [("answer", *x) for x in back.left] + [("served", v, q, b, 0) for v, q, b in out.served]
+        buffer = lambda tag, width=4: [tuple(x[:width]) for x in by.get(tag, ())]
+        work = Work(f, task, buffer("pending"), buffer("answer"), buffer("demand", 3), {(v, q): b for v, q, b, _ in by.get("served", ())})
+        to_single_task(subtasks)(task.kind, work)
+        out, back = work.wave, work.back
+        rows: list[tuple] = [("lower", v, q, d, 0) for (v, q), d in lower.items()]
+        rows += [(tag, *x) for tag in ON_THE_WAY for x in by.get(tag, ())]
+        rows += [("label", v, q, d, leaf) for (v, q), (d, leaf) in f.label.items() if d < math.inf]
+        rows += [("pending", *x) for x in work.pending] + [("answer", *x) for x in work.answers + back.left]
+        rows += [("demand", v, q, b, 0) for v, q, b in work.demands] + [("served", v, q, b, 0) for (v, q), b in work.served.items()]
         own = [(t, frag, *map(int, r)) for t, *r in rows]
-        own += [("list", frag, r, s, 0, 0) for r, s in out.answers if k < EVERY] + [("metric", frag, out.pops, out.refined, len(f.label), back.roots)]
+        own += [("list", frag, r, s, 0, 0) for r, s in out.answers if k < EVERY]
+        own += [("metric", frag, out.pops + back.pops, back.ahead, int(out.stopped or back.stopped), back.roots)]
         # Messages: rows of other fragments, marked as on the way; each once, the best.
         for tag, sent in (("msg_b", out.to_copies), ("msg_a", back.to_copies)):
             best: dict[tuple, tuple] = {}
             for to, d, q, v, leaf in sent:
                 best[to, q, v] = min((d, leaf), best.get((to, q, v), (math.inf, 0)))
             own += [(tag, to, d, q, v, leaf) for (to, q, v), (d, leaf) in best.items()]
-        own += [("msg_d", to, v, q, b, 0) for to, v, q, b in out.to_owners]
+        own += [("msg_d", to, v, q, b, frag) for to, v, q, b in back.to_owners]
         return pd.DataFrame(own, columns=["tag", "frag", "a", "b", "c", "d"])
 
     return run
 
 
-def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive", m: int = 4, how: str = "hash", threshold: float = 2, bound: str = "union", index=None, selector=None, max_steps: int = 200) -> Run:
-    """Runs one query on ``m`` fragments. ``selector``: a name or a function of (backward indicator, forward indicator, step)."""
+def _latest(rows: DataFrame) -> DataFrame:
+    """Messages of a superstep's parts as they are sent at its end: of each, the best only."""
+    labels = rows.filter("tag IN ('msg_b', 'msg_a')").groupBy("tag", "frag", "b", "c").agg(F.min(F.struct("a", "d")).alias("m")).select("tag", "frag", "m.a", "b", "c", "m.d")
+    asked = rows.filter("tag = 'msg_d'").groupBy("tag", "frag", "a", "b", "d").agg(F.max("c").alias("c"))
+    return rows.filter("tag NOT IN ('msg_b', 'msg_a', 'msg_d')").unionByName(labels).unionByName(asked)
+
+
+def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive", m: int = 4, how: str = "hash", threshold: float = 2, bound: str = "union", index=None, selector=None, max_steps: int = 200, micro: int = 4_000) -> Run:
+    """Runs one query on ``m`` fragments. ``selector``: a name or a function of (backward indicator, forward indicator, step).
+
+    With exchange, a fragment pauses after ``micro`` expansions: lists are reported and bounds pushed, then it goes on in the
+    same superstep with the bound it was given; messages between fragments still wait for the superstep's end.
+    """
     sketches, exchange, chosen = LADDER[variant]
     choose = SELECTORS[selector or chosen] if selector is None or isinstance(selector, str) else selector
     began = time.time()
@@ -140,6 +212,8 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
     held = Snapshot(state.select("tag", "frag", "a", "b", "c", "d"))
     known = dict.fromkeys(range(m), seed)
     quiet_forward, every = False, variant == "exhaustive"
+    settled = False
+    pause = micro if exchange else 1 << 30
     for step in range(1, max_steps + 1):
         buffers = {(r["frag"], r["tag"]): r for r in held.df.filter("tag IN ('pending', 'answer', 'demand')").groupBy("frag", "tag").agg(F.count("*").alias("n"), F.sum("a").alias("sa"), F.sum("c").alias("sc")).collect()}
         minima = [math.inf] * n
@@ -147,6 +221,7 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
             minima[r["b"]] = r["d"]
         final = not every and sum(minima) > board.bound or min(minima) > min(query.tau, board.bound)
         tasks: dict[int, Task] = {}
+        started = held.df
         for frag in range(m):
             parts = [x for x in (None if final else buffers.get((frag, "pending")), buffers.get((frag, "answer"))) if x]
             n_back, d_back, f = sum(x["n"] for x in parts), sum(x["sa"] for x in parts), buffers.get((frag, "demand"))
@@ -154,46 +229,61 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
             sb = backward_budget(d_back / n_back, bound_i, query.tau) if n_back else math.inf
             sf = forward_budget(f["sc"] / f["n"], query.tau) if f else math.inf
             kind = choose(sb, sf, step)
-            tasks[frag] = Task(kind, bound_i, tuple(minima), force=every or not exchange and step > 1, wave=every or not final)
+            if variant == "preemptive" and step == 1:
+                kind = PARTIAL
+            tasks[frag] = Task(kind, bound_i, tuple(minima), every or not exchange and step > 1, every or not final, pause, sketches)
         if all(t.kind == IDLE for t in tasks.values()):
             if quiet_forward or every:
                 break
             # All buffers are empty: every fragment searches ahead for what its own roots lack.
             for frag, t in tasks.items():
                 bound_i = min(board.bound, known[frag], board.local[frag])
-                tasks[frag] = Task(FORWARD, bound_i, tuple(minima))
+                tasks[frag] = Task(FORWARD, bound_i, tuple(minima), micro=pause, border=sketches)
             quiet_forward = True
-        moved = edges.groupBy("frag").cogroup(held.df.groupBy("frag")).applyInPandas(_step(n, query.tau, EVERY if every else query.k, tasks), ROWS)
-        after = Snapshot(moved)
-        rows = after.df
+            if not settled:
+                # A search made while waves still ran may have passed labels that came later: it does not count as served.
+                started, settled = held.df.filter("tag <> 'served'"), True
+        pops, ahead, parts, active, rows = dict.fromkeys(range(m), 0), dict.fromkeys(range(m), 0), 0, tasks, started
+        written = []
+        while any(t.kind != IDLE for t in active.values()):
+            written.append(Snapshot(edges.groupBy("frag").cogroup(rows.groupBy("frag")).applyInPandas(_step(n, query.tau, EVERY if every else query.k, active), ROWS)))
+            parts += 1
+            lists: dict[int, list[tuple[int, int]]] = {}
+            paused = set()
+            for r in written[-1].df.filter("tag IN ('list', 'metric')").collect():
+                if r["tag"] == "list":
+                    lists.setdefault(r["frag"], []).append((r["a"], r["b"]))
+                else:
+                    pops[r["frag"]] += r["a"]
+                    ahead[r["frag"]] += r["b"]
+                    run.forward_roots += r["d"]
+                    if r["c"]:
+                        paused.add(r["frag"])
+            for frag, found in lists.items():
+                found.sort(key=lambda x: (x[1], x[0]))
+                board.report(frag, found[-1][1] if len(found) == query.k else math.inf, found)
+            if exchange:
+                for frag in board.lagging():
+                    known[frag] = min(known[frag], board.push(frag))
+            active = {f: replace(t, bound=min(t.bound, known[f], board.local[f])) if f in paused else replace(t, kind=IDLE) for f, t in active.items()}
+            rows = written[-1].df.filter("tag NOT IN ('list', 'metric')")
+        if parts > 1:
+            rows = _latest(rows)
         sent = {r["tag"]: r["n"] for r in rows.filter("tag IN ('msg_b', 'msg_a', 'msg_d')").groupBy("tag").agg(F.count("*").alias("n")).collect()}
-        reports = rows.filter("tag IN ('list', 'metric')").collect()
-        lists: dict[int, list[tuple[int, int]]] = {}
-        pops = dict.fromkeys(range(m), 0)
-        for r in reports:
-            if r["tag"] == "list":
-                lists.setdefault(r["frag"], []).append((r["a"], r["b"]))
-            else:
-                pops[r["frag"]] = r["a"]
-                run.forward_roots += r["d"]
-        for frag, found in lists.items():
-            found.sort(key=lambda x: (x[1], x[0]))
-            board.report(frag, found[-1][1] if len(found) == query.k else math.inf, found)
-        if exchange:
-            for frag in board.lagging():
-                known[frag] = min(known[frag], board.push(frag))
         n_b, n_d = sent.get("msg_b", 0) + sent.get("msg_a", 0), sent.get("msg_d", 0)
-        if n_b or n_d or any(t.kind == BACKWARD for t in tasks.values()):
+        if n_b or n_d or any(t.kind in (BACKWARD, PARTIAL) for t in tasks.values()):
             quiet_forward = quiet_forward and not (n_b or n_d)
         run.messages += n_b + n_d
         run.message_bytes += n_b * MATCH_BYTES + n_d * DEMAND_BYTES
         run.pops += sum(pops.values())
+        run.ahead_pops += sum(ahead.values())
+        run.parts += parts
         run.bounds.append(board.bound)
-        run.steps.append({"step": step, "tasks": {f: t.kind for f, t in tasks.items()}, "pops": pops, "msg_b": n_b, "msg_d": n_d, "bound": board.bound})
-        nxt = rows.filter("tag NOT IN ('list', 'metric')").select(F.when(F.col("tag") == "msg_b", "pending").when(F.col("tag") == "msg_a", "answer").when(F.col("tag") == "msg_d", "demand").otherwise(F.col("tag")).alias("tag"), "frag", "a", "b", "c", "d")
+        run.steps.append({"step": step, "tasks": {f: t.kind for f, t in tasks.items()}, "pops": pops, "ahead": ahead, "parts": parts, "msg_b": n_b, "msg_d": n_d, "bound": board.bound})
+        nxt = rows.select(F.when(F.col("tag") == "msg_b", "pending").when(F.col("tag") == "msg_a", "answer").when(F.col("tag") == "msg_d", "demand").otherwise(F.col("tag")).alias("tag"), "frag", "a", "b", "c", "d")
         fresh = Snapshot(nxt)
-        after.drop()
-        held.drop()
+        for table in [*written, held]:
+            table.drop()
         held = fresh
     else:
         raise RuntimeError(f"no end after {max_steps} supersteps")
@@ -212,9 +302,3 @@ def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive",
     run.seconds = time.time() - began
     return run
 
-
-def to_single_task(steps) -> list[tuple[str, object]]:
-    """Compiles (name, partial, incremental) subtasks and an assemble into one function per phase with a branch on the task."""
-    partial = [(name, p) for name, p, _ in steps]
-    incremental = {name: i for name, _, i in steps}
-    return [("partial", lambda state: [p(state) for _, p in partial]), ("incremental", lambda task, state: incremental[task](state))]

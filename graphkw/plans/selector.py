@@ -6,6 +6,8 @@ import math
 from collections.abc import Callable
 
 BACKWARD, FORWARD, IDLE = "b", "f", "idle"
+#: The first superstep of the multi-task model: the partial steps of all subtasks.
+PARTIAL = "all"
 
 
 def backward_budget(d: int, s: float, tau: int) -> float:

@@ -9,7 +9,7 @@ from graphkw.operators.bounds import BoundBoard, TopKList, assemble
 from graphkw.operators.kernel import Fragment, Output, Task
 from graphkw.plans import selector
 from graphkw.plans.experiments import growth
-from graphkw.plans.program import run_program, to_single_task
+from graphkw.plans.program import Subtask, run_program, to_single_task
 from graphkw.plans.search import keyword_distances, search, search_batch
 from graphkw.reference import brute_force, distances, sequential
 from graphkw.schema import Graph, KeywordQuery, merge_edges
@@ -95,8 +95,11 @@ def test_selector_rules():
     assert selector.preemptive(math.inf, math.inf, 1) == "idle"
     assert [selector.alternate(1, 1, s) for s in (1, 2, 3)] == ["b", "f", "b"]
     assert selector.backward_first(9, 1, 1) == "b" and selector.forward_first(1, 9, 1) == "f"
-    program = to_single_task([("b", len, sum), ("f", len, max)])
-    assert program[0][1]([1, 2]) == [2, 2] and program[1][1]("f", [1, 2]) == 2
+    names = lambda t: Subtask(t, (t,), lambda w: w.append(f"{t} partial"), lambda w: w.append(f"{t} incremental"))
+    program, done = to_single_task((names("b"), names("f"))), []
+    for kind in (selector.PARTIAL, "f", "b"):
+        program(kind, done)
+    assert done == ["b partial", "f partial", "f incremental", "b incremental"]
 
 
 def test_kernel_ships_borders_and_demands():
@@ -149,10 +152,34 @@ def test_stop_counter_example(spark):
     assert [(r.root, r.score) for r in search(g, query).answers.collect()] == [(names["u"], 6)]
 
 
-@pytest.mark.parametrize("variant", ["two_phase", "preemptive"])
+@pytest.mark.parametrize("variant", ["two_phase", "exchange", "preemptive"])
 def test_program_equals_brute_force(spark, variant):
     edges, postings, query = drawn(11)
-    assert run_program(make(spark, edges, postings), query, variant, m=3).answers == brute_force(edges, postings, query)
+    run = run_program(make(spark, edges, postings), query, variant, m=3, micro=8)
+    assert run.answers == brute_force(edges, postings, query)
+    assert run.parts > len(run.steps) if variant != "two_phase" else run.parts == len(run.steps)
+    assert (sum(run.steps[0]["ahead"].values()) > 0) == (variant == "preemptive")
+
+
+def test_a_bound_moves_within_a_superstep():
+    """A fragment that pauses goes on with the other's better bound and leaves what that bound rules out."""
+    chain = [(i + 1, i, 1, 0, 0) for i in range(30)]
+    f, out = Fragment(0, 1, 30, 5, chain, [], []), Output()
+    f.backward(Task("b", math.inf, (0,), micro=3), [(0, 0, 0, 0)], out)
+    assert out.stopped and out.pops == 3 and out.left
+    rest = Output()
+    f.backward(Task("b", 4, (0,), micro=100), out.left, rest)
+    alone = Output()
+    Fragment(0, 1, 30, 50, chain, [], []).backward(Task("b", math.inf, (0,)), [(0, 0, 0, 0)], alone)
+    assert not rest.stopped and out.pops + rest.pops < alone.pops
+
+
+def test_border_rules_out_searches_that_stay_inside():
+    f = Fragment(0, 2, 3, 5, [(1, 2, 2, 0, 0), (2, 3, 2, 0, 1)], [(1, 0, 0, 1)], [])
+    free, bound = Task("f", math.inf, (9, 0)), Task("f", math.inf, (9, 0), border=True)
+    assert f.border() == {3: 0, 2: 2}
+    assert f.roots(free, math.inf) == [(1, 1, 3)] and f.roots(bound, math.inf) == []
+    assert f.roots(bound, math.inf, [(2, 1, 2, 2)]) == [(1, 1, 3)]  # its own frontier may still reach it
 
 
 def test_lower_bounds_hold_and_the_printed_one_fails(spark):

@@ -3,6 +3,7 @@
 import math
 import random
 from collections import defaultdict
+from dataclasses import replace
 
 import pandas as pd
 import pytest
@@ -18,7 +19,7 @@ COLUMNS = ["tag", "frag", "a", "b", "c", "d"]
 ARRIVED = {"msg_b": "pending", "msg_a": "answer", "msg_d": "demand"}
 
 
-def simulate(edges, postings, query, m, choose, exchange=True, threshold=2):
+def simulate(edges, postings, query, m, choose, exchange=True, threshold=2, micro=1 << 30, border=False, partial=False, seen=None):
     """One run with all state in memory; returns the answers and the trace of the global bound."""
     n, frag_of = len(query.keywords), lambda v: (v * 7919) % m
     own = {f: [] for f in range(m)}
@@ -31,6 +32,7 @@ def simulate(edges, postings, query, m, choose, exchange=True, threshold=2):
         state.add(("pending", frag_of(v), 0, q, v, v))
         state |= {("pending", frag_of(u), 0, q, v, v) for u, x, _ in edges if x == v and frag_of(u) != frag_of(v)}
     state, board, known, quiet = list(state), BoundBoard(m, query.k, threshold), dict.fromkeys(range(m), math.inf), False
+    settled = False
     for step in range(1, 300):
         minima = [min((a for t, _, a, b, _, _ in state if t == "pending" and b == q), default=math.inf) for q in range(n)]
         final = sum(minima) > board.bound or min(minima) > min(query.tau, board.bound)
@@ -40,30 +42,39 @@ def simulate(edges, postings, query, m, choose, exchange=True, threshold=2):
             dem = [c for t, g, _, _, c, _ in state if g == f and t == "demand"]
             bound = min(known[f], board.local[f])
             sb = selector.indicator([selector.backward_budget(a, bound, query.tau) for a in back])
-            tasks[f] = Task(choose(sb, selector.indicator([selector.forward_budget(c, query.tau) for c in dem]), step), bound, tuple(minima), force=not exchange and step > 1, wave=not final)
+            kind = selector.PARTIAL if partial and step == 1 else choose(sb, selector.indicator([selector.forward_budget(c, query.tau) for c in dem]), step)
+            tasks[f] = Task(kind, bound, tuple(minima), not exchange and step > 1, not final, micro, border)
         if all(t.kind == selector.IDLE for t in tasks.values()):
             if quiet:
                 return assemble(board.lists.values(), query.k), board.trace
-            tasks = {f: Task(selector.FORWARD, min(board.bound, known[f], board.local[f]), tuple(minima)) for f in tasks}
+            tasks = {f: Task(selector.FORWARD, min(board.bound, known[f], board.local[f]), tuple(minima), micro=micro, border=border) for f in tasks}
             quiet = True
-        run, out = _step(n, query.tau, query.k, tasks), []
-        for f in range(m):
-            rows, graph = pd.DataFrame([r for r in state if r[1] == f], columns=COLUMNS), pd.DataFrame(own[f], columns=["frag", "src", "dst", "w", "src_frag", "dst_frag"])
-            if len(rows) or len(graph):
-                out += run(graph, rows).itertuples(index=False, name=None)
-        lists = defaultdict(list)
-        for t, f, a, b, _, _ in out:
-            if t == "list":
-                lists[f].append((a, b))
-        for f, found in lists.items():
-            found.sort(key=lambda x: (x[1], x[0]))
-            board.report(f, found[-1][1] if len(found) == query.k else math.inf, found)
-        if exchange:
-            for f in board.lagging():
-                known[f] = min(known[f], board.push(f))
+            if not settled:
+                state, settled = [r for r in state if r[0] != "served"], True
+        out = state
+        while any(t.kind != selector.IDLE for t in tasks.values()):
+            run, held, out = _step(n, query.tau, query.k, tasks), out, []
+            for f in range(m):
+                rows, graph = pd.DataFrame([r for r in held if r[1] == f], columns=COLUMNS), pd.DataFrame(own[f], columns=["frag", "src", "dst", "w", "src_frag", "dst_frag"])
+                if len(rows) or len(graph):
+                    out += run(graph, rows).itertuples(index=False, name=None)
+            lists, paused = defaultdict(list), {f for t, f, _, _, c, _ in out if t == "metric" and c}
+            if seen is not None:
+                seen += [(step, a, b) for t, _, a, b, _, _ in out if t == "metric"]
+            for t, f, a, b, _, _ in out:
+                if t == "list":
+                    lists[f].append((a, b))
+            for f, found in lists.items():
+                found.sort(key=lambda x: (x[1], x[0]))
+                board.report(f, found[-1][1] if len(found) == query.k else math.inf, found)
+            if exchange:
+                for f in board.lagging():
+                    known[f] = min(known[f], board.push(f))
+            tasks = {f: replace(t, bound=min(t.bound, known[f], board.local[f])) if f in paused else replace(t, kind=selector.IDLE) for f, t in tasks.items()}
+            out = [r for r in out if r[0] not in ("list", "metric")]
         messages = any(r[0] in ARRIVED for r in out)
         quiet = quiet and not messages
-        state = [(ARRIVED.get(r[0], r[0]), *r[1:]) for r in out if r[0] not in ("list", "metric")]
+        state = [(ARRIVED.get(r[0], r[0]), *r[1:]) for r in out]
     raise AssertionError("no end")
 
 
@@ -84,3 +95,23 @@ def test_every_order_gives_the_exact_answers(seed):
         got, trace = simulate(edges, postings, query, draw.choice([1, 2, 3, 5]), choose, exchange)
         assert got == want, choose.__name__
         assert trace == sorted(trace, reverse=True)
+
+
+@pytest.mark.parametrize("seed", range(40))
+def test_pauses_borders_and_partial_steps_keep_answers_exact(seed):
+    draw = random.Random(100 + seed)
+    n, edges = draw.randint(5, 40), {}
+    for _ in range(draw.randint(n, 4 * n)):
+        u, v = draw.randrange(n), draw.randrange(n)
+        if u != v:
+            edges[u, v] = draw.randint(1, draw.choice([1, 3, 9]))
+    q = draw.randint(1, 4)
+    postings = [(f"k{i}", v) for i in range(q) for v in draw.sample(range(n), draw.randint(1, 5))]
+    edges = [(u, v, w) for (u, v), w in edges.items()]
+    query = KeywordQuery(tuple(f"k{i}" for i in range(q)), draw.randint(0, 12), draw.randint(1, 6))
+    want = brute_force(edges, postings, query)
+    for choose in (selector.backward_first, selector.preemptive, selector.alternate, selector.forward_first):
+        for partial in (False, True):
+            got, trace = simulate(edges, postings, query, draw.choice([1, 2, 3, 5]), choose, True, draw.choice([0, 2]), draw.choice([1, 3, 10]), draw.random() < 0.7, partial)
+            assert got == want, (choose.__name__, partial)
+            assert trace == sorted(trace, reverse=True)
