@@ -181,7 +181,7 @@ def _latest(rows: DataFrame) -> DataFrame:
     return rows.filter("tag NOT IN ('msg_b', 'msg_a', 'msg_d')").unionByName(labels).unionByName(asked)
 
 
-def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive", m: int = 4, how: str = "hash", threshold: float = 2, bound: str = "union", index=None, selector=None, max_steps: int = 200, micro: int = 4_000) -> Run:
+def run_program(graph: Graph, query: KeywordQuery, variant: str = "preemptive", m: int = 4, how: str = "hash", threshold: float = 2, bound: str = "union", index=None, selector=None, max_steps: int = 200, micro: int = 20_000) -> Run:
     """Runs one query on ``m`` fragments. ``selector``: a name or a function of (backward indicator, forward indicator, step).
 
     With exchange, a fragment pauses after ``micro`` expansions: lists are reported and bounds pushed, then it goes on in the

@@ -246,8 +246,16 @@ _add(
     lambda s, d: partition.framed_edges(_framed(s, d)).groupBy("src_frag", "dst_frag").agg(F.count("*").alias("n")),
     f"WITH {_FRAMED} SELECT src_frag, dst_frag, count(*) AS n FROM framed GROUP BY ALL",
 )
-for _how in ("balanced_lp", "greedy_stream", "range", "by_kind"):
+for _how in ("balanced_lp", "greedy_stream", "range"):
     _add(f"frag_measures_{_how}", lambda s, d, h=_how: partition.measures(partition.partition(build_graph(s, d, "g2"), 4, h)))
+_add(
+    "frag_measures_by_kind",
+    lambda s, d: partition.measures(partition.partition(build_graph(s, d, "g2"), 4, "by_kind")),
+    f"WITH {graph_ctes('g2').replace('edges AS (', 'edges AS MATERIALIZED (', 1)}, v AS (SELECT src AS vid FROM edges UNION SELECT dst FROM edges UNION SELECT vid FROM postings),"
+    " cut AS (SELECT src // 1000000000000 % 4 AS frag, count(*) AS n_edges, count(*) FILTER (src // 1000000000000 % 4 <> dst // 1000000000000 % 4) AS n_cross FROM edges GROUP BY 1),"
+    " own AS (SELECT vid // 1000000000000 % 4 AS frag, count(*) AS n_vertices FROM v GROUP BY 1)"
+    " SELECT CAST(frag AS INTEGER) AS frag, n_vertices, coalesce(n_edges, 0) AS n_edges, coalesce(n_cross, 0) AS n_cross FROM own LEFT JOIN cut USING (frag)",
+)
 
 
 def _local(s: SparkSession, d: str, keywords=Q2, tau: int = 6) -> tuple[DataFrame, DataFrame]:
