@@ -2,14 +2,16 @@
 
 import math
 import random
+import tracemalloc
 from collections import defaultdict
 from dataclasses import replace
 
+import numpy as np
 import pandas as pd
 import pytest
 
 from graphkw.operators.bounds import BoundBoard, assemble
-from graphkw.operators.kernel import Task
+from graphkw.operators.kernel import Fragment, Output, Task
 from graphkw.plans import selector
 from graphkw.plans.program import _step
 from graphkw.reference import brute_force
@@ -115,3 +117,25 @@ def test_pauses_borders_and_partial_steps_keep_answers_exact(seed):
             got, trace = simulate(edges, postings, query, draw.choice([1, 2, 3, 5]), choose, True, draw.choice([0, 2]), draw.choice([1, 3, 10]), draw.random() < 0.7, partial)
             assert got == want, (choose.__name__, partial)
             assert trace == sorted(trace, reverse=True)
+
+
+def test_demands_of_a_keyword_share_one_search():
+    """Many roots before one hub: each vertex is met once for all of them, not once for each."""
+    n, hub = 300, 10_000
+    edges = [(i, hub, 1, 0, 0) for i in range(n)] + [(hub, 20_000 + i, 1, 0, 0) for i in range(n)] + [(20_000, 30_000, 1, 0, 1)]
+    f, out = Fragment(0, 1, 3, 5, edges, [(20_001, 0, 0, 20_001)], []), Output()
+    f.forward(Task("f", math.inf, (-1,)), [(i, 0, 3) for i in range(n)], {}, out, False)
+    assert {f.label[i, 0] for i in range(n)} == {(2, 20_001)}
+    assert list(out.to_owners) == [(1, 30_000, 0, 0)]
+    assert out.pops <= len(f.ids)
+
+
+def test_a_fragment_of_many_edges_is_held_in_arrays():
+    """A million edges, of which no Python object is made: under 100 bytes an edge at the most."""
+    n = 1_000_000
+    columns = tuple(np.asarray(x) for x in (np.arange(1, n + 1), np.arange(n), np.ones(n, int), np.zeros(n, int), np.zeros(n, int)))
+    tracemalloc.start()
+    f = Fragment(0, 1, 3, 5, columns, [], [])
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert len(f.ids) == n + 1 and most < 100 * n
