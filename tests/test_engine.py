@@ -161,6 +161,15 @@ def test_program_equals_brute_force(spark, variant):
     assert (sum(run.steps[0]["ahead"].values()) > 0) == (variant == "preemptive")
 
 
+def test_a_large_fragment_is_dealt_into_cells(spark):
+    edges, postings, query = drawn(11)
+    g = make(spark, edges, postings)
+    whole, dealt = (run_program(g, query, "two_phase", m=2, cell_edges=c) for c in (1 << 18, 12))
+    assert dealt.answers == whole.answers == brute_force(edges, postings, query)
+    # A superstep takes several jobs where cells of a fragment read each other's rows.
+    assert whole.parts == len(whole.steps) and dealt.parts > len(dealt.steps)
+
+
 def test_a_bound_moves_within_a_superstep():
     """A fragment that pauses goes on with the other's better bound and leaves what that bound rules out."""
     chain = [(i + 1, i, 1, 0, 0) for i in range(30)]

@@ -119,6 +119,86 @@ def test_pauses_borders_and_partial_steps_keep_answers_exact(seed):
             assert trace == sorted(trace, reverse=True)
 
 
+def simulate_cells(edges, postings, query, m, cells, choose, exchange=True, threshold=2, micro=1 << 30, border=False, partial=False):
+    """The same with every fragment dealt into cells; the superstep goes on until a fragment's cells have read each other's rows."""
+    n, cell_of = len(query.keywords), lambda v: (v * 7919) % m * cells + (v * 31 + 7) % 101 % cells
+    own = defaultdict(list)
+    for u, v, w in edges:
+        for c in {cell_of(u), cell_of(v)}:
+            own[c].append((c, u, v, w, cell_of(u), cell_of(v)))
+    state = set()
+    for kw, v in postings:
+        q = query.keywords.index(kw)
+        state |= {("pending", c, 0, q, v, v) for c in {cell_of(v)} | {cell_of(u) for u, x, _ in edges if x == v}}
+    state, board, known, quiet, settled, lists = list(state), BoundBoard(m, query.k, threshold), dict.fromkeys(range(m), math.inf), False, False, {}
+    for step in range(1, 300):
+        minima = [min((a for t, _, a, b, _, _ in state if t == "pending" and b == q), default=math.inf) for q in range(n)]
+        final = sum(minima) > board.bound or min(minima) > min(query.tau, board.bound)
+        tasks = {}
+        for f in range(m):
+            back = [a for t, g, a, *_ in state if g // cells == f and (t == "answer" or t == "pending" and not final)]
+            dem = [c for t, g, _, _, c, _ in state if g // cells == f and t == "demand"]
+            bound = min(known[f], board.local[f])
+            sb = selector.indicator([selector.backward_budget(a, bound, query.tau) for a in back])
+            kind = selector.PARTIAL if partial and step == 1 else choose(sb, selector.indicator([selector.forward_budget(c, query.tau) for c in dem]), step)
+            tasks[f] = Task(kind, bound, tuple(minima), not exchange and step > 1, not final, micro, border)
+        if all(t.kind == selector.IDLE for t in tasks.values()):
+            if quiet:
+                return assemble(board.lists.values(), query.k), board.trace
+            tasks = {f: Task(selector.FORWARD, min(board.bound, known[f], board.local[f]), tuple(minima), micro=micro, border=border) for f in tasks}
+            quiet = True
+            if not settled:
+                state, settled = [r for r in state if r[0] != "served"], True
+        active, out, inside = {c: tasks[c // cells] for c in range(m * cells)}, state, False
+        while any(t.kind != selector.IDLE for t in active.values()):
+            run, held, out = _step(n, query.tau, query.k, active, cells=cells), out, []
+            for c in range(m * cells):
+                rows, graph = pd.DataFrame([r for r in held if r[1] == c], columns=COLUMNS), pd.DataFrame(own[c], columns=["frag", "src", "dst", "w", "src_frag", "dst_frag"])
+                if len(rows) or len(graph):
+                    out += run(graph, rows).itertuples(index=False, name=None)
+            on, found = {c for t, c, _, _, p, _ in out if t == "metric" and p}, defaultdict(list)
+            for t, c, a, b, _, _ in out:
+                if t == "list":
+                    found[c].append((a, b))
+                if t == "woken":
+                    inside = True
+                    if tasks[c // cells].kind in (selector.PARTIAL, selector.FORWARD if a else selector.BACKWARD):
+                        on.add(c)
+            lists |= found
+            for f in sorted({c // cells for c in found}):
+                best = assemble((lists.get(c, ()) for c in range(f * cells, (f + 1) * cells)), query.k)
+                board.report(f, best[-1][1] if len(best) == query.k else math.inf, best)
+            if exchange:
+                for f in board.lagging():
+                    known[f] = min(known[f], board.push(f))
+            active = {c: replace(t, kind=tasks[c // cells].kind if c in on else selector.IDLE, bound=min(t.bound, known[c // cells], board.local[c // cells])) for c, t in active.items()}
+            out = [r for r in out if r[0] not in ("list", "metric", "woken")]
+        quiet = quiet and not inside and not any(r[0] in ARRIVED for r in out)
+        state = [(ARRIVED.get(r[0], r[0]), *r[1:]) for r in out]
+    raise AssertionError("no end")
+
+
+@pytest.mark.parametrize("seed", range(10))
+def test_cells_of_a_fragment_keep_answers_exact(seed):
+    draw = random.Random(700 + seed)
+    n, edges = draw.randint(5, 40), {}
+    for _ in range(draw.randint(n, 4 * n)):
+        u, v = draw.randrange(n), draw.randrange(n)
+        if u != v:
+            edges[u, v] = draw.randint(1, draw.choice([1, 3, 9]))
+    q = draw.randint(1, 4)
+    postings = [(f"k{i}", v) for i in range(q) for v in draw.sample(range(n), draw.randint(1, 5))]
+    edges = [(u, v, w) for (u, v), w in edges.items()]
+    query = KeywordQuery(tuple(f"k{i}" for i in range(q)), draw.randint(0, 12), draw.randint(1, 6))
+    want = brute_force(edges, postings, query)
+    for choose in (selector.backward_first, selector.preemptive, selector.alternate, selector.forward_first):
+        for exchange in (False, True):
+            m, cells, micro = draw.choice([1, 2, 3]), draw.choice([2, 3, 5]), draw.choice([1, 3, 10]) if exchange else 1 << 30
+            got, trace = simulate_cells(edges, postings, query, m, cells, choose, exchange, draw.choice([0, 2]), micro, exchange and draw.random() < 0.7, exchange and draw.random() < 0.5)
+            assert got == want, (choose.__name__, exchange)
+            assert trace == sorted(trace, reverse=True)
+
+
 def test_demands_of_a_keyword_share_one_search():
     """Many roots before one hub: each vertex is met once for all of them, not once for each."""
     n, hub = 300, 10_000
